@@ -6,10 +6,13 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from .decontamination import op7_decontamination
 from .quality import op6_quality
+from .secrets import op2_secrets
+from .sharding import op3_sharding
 from .toxicity import op1_toxicity
 
-_OPS = (op1_toxicity, op6_quality)
+_OPS = (op1_toxicity, op2_secrets, op3_sharding, op6_quality, op7_decontamination)
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
