@@ -32,32 +32,23 @@ def tree(shards: int, racks_of: int = 4, regions_of: int = 3) -> list[Leaf]:
     return [Leaf(s // (racks_of * regions_of), s // racks_of, s) for s in range(shards)]
 
 
-def draw(key: Column, leaf: Leaf) -> Column:
-    """53 bits of a hash as u in (0, 1)."""
-    bits = F.shiftrightunsigned(F.xxhash64(key, F.lit(f"leaf {leaf.shard}")), 11)
-    return -F.ln((bits.cast("double") + 0.5) / F.lit(float(1 << 53))) / F.lit(leaf.weight)
-
-
-def place(key: Column, leaves: list[Leaf]) -> tuple[Column, Column, Column]:
-    """(region, rack, shard) of a key, descending by least draw (ties: smaller number)."""
-    racks: dict[int, list[Leaf]] = {}
-    for x in leaves:
-        racks.setdefault(x.rack, []).append(x)
-    rack_best = {r: F.array_min(F.array(*[F.struct(draw(key, x).alias("d"), F.lit(x.shard).alias("s")) for x in own])) for r, own in racks.items()}
-    regions: dict[int, list[int]] = {}
-    for r, own in racks.items():
-        regions.setdefault(own[0].region, []).append(r)
-    region_best = {g: F.array_min(F.array(*[F.struct(rack_best[r]["d"].alias("d"), F.lit(r).alias("rack"), rack_best[r]["s"].alias("s")) for r in own])) for g, own in regions.items()}
-    top = F.array_min(F.array(*[F.struct(b["d"].alias("d"), F.lit(g).alias("region"), b["rack"].alias("rack"), b["s"].alias("s")) for g, b in region_best.items()]))
-    return top["region"], top["rack"], top["s"]
+def draws(key: Column, leaves: list[Leaf]) -> Column:
+    """An array of (draw, region, rack, shard), one for each leaf; 53 bits of a hash make u in (0, 1)."""
+    given = F.array(*[F.struct(F.lit(x.region).alias("region"), F.lit(x.rack).alias("rack"), F.lit(x.shard).alias("shard"), F.lit(float(x.weight)).alias("weight")) for x in leaves])
+    u = lambda x: (F.shiftrightunsigned(F.xxhash64(key, x["shard"]), 11).cast("double") + 0.5) / F.lit(float(1 << 53))
+    return F.transform(given, lambda x: F.struct((-F.ln(u(x)) / x["weight"]).alias("d"), x["region"].alias("region"), x["rack"].alias("rack"), x["shard"].alias("shard")))
+
+
+def descend(key: Column, leaves: list[Leaf]) -> Column:
+    """The shard of a key. The region with the least draw holds the leaf with the least draw, and so does that rack within it,
+    so one minimum over (draw, region, rack, shard) makes all steps of the descent at once (ties: smaller numbers)."""
+    return F.array_min(draws(key, leaves))["shard"]
 
 
 def assign(docs: DataFrame, key: Column, leaves: list[Leaf], grown: list[Leaf] | None = None) -> DataFrame:
     """docs with shard (and grown_shard, under the tree `grown`)."""
-    out = docs.withColumn("_key", key).withColumn("shard", place(F.col("_key"), leaves)[2])
-    if grown is not None:
-        out = out.withColumn("grown_shard", place(F.col("_key"), grown)[2])
-    return out.drop("_key")
+    out = docs.withColumn("shard", descend(key, leaves))
+    return out if grown is None else out.withColumn("grown_shard", descend(key, grown))
 
 
 def slots(rows: DataFrame, groups: int = SLOT_GROUPS) -> DataFrame:

@@ -80,15 +80,13 @@ def fit(texts: list[str], y: np.ndarray, alpha: float = 1.0, least_gain: float =
 
 def sample(docs: DataFrame, labels: DataFrame, label: str, rows: int, chars: int) -> tuple[list[str], np.ndarray]:
     """At most `rows` labelled texts outside the held-out fold, in the order of a hash; equal texts once."""
-    lab = labels.where(F.col(label).isNotNull()).groupBy("doc_id").agg(F.max(label).alias("_y"))
+    lab = labels.where(F.col(label).isNotNull() & (crc_mod4() != 2)).groupBy("doc_id").agg(F.max(label).alias("_y"))
+    chosen = lab.withColumn("_o", F.xxhash64("doc_id")).orderBy("_o", "doc_id").limit(rows)
     got = (
-        docs.where(crc_mod4() != 2)
-        .select("doc_id", F.substring(F.coalesce("text", F.lit("")), 1, chars).alias("_t"))
-        .join(lab.where(crc_mod4() != 2), "doc_id")
-        .select("_t", "_y", F.xxhash64("doc_id").alias("_o"))
-        .orderBy("_o")
-        .limit(rows)
+        docs.select("doc_id", F.substring(F.coalesce("text", F.lit("")), 1, chars).alias("_t"))
+        .join(F.broadcast(chosen), "doc_id")  # at most `rows` ids and labels
         .toPandas()
+        .sort_values(["_o", "_t"])
         .drop_duplicates("_t")
     )
     return list(got["_t"]), got["_y"].to_numpy(np.float64)
