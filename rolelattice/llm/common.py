@@ -7,7 +7,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -46,6 +46,19 @@ def parts(spark: SparkSession) -> int:
     return max(int(spark.conf.get("spark.sql.shuffle.partitions")), spark.sparkContext.defaultParallelism)
 
 
+def number(rows: DataFrame, by: str, name: str, groups: int = 64) -> DataFrame:
+    """Number the rows of each value of `by` from 0 without gaps, in an order that the rows' values alone decide.
+
+    Rows are numbered within `groups` sub-groups by hash, so that no task sorts all rows of a value; sub-groups' offsets come
+    from their counts: (values of by) x groups rows, which the caller's bound on the values makes safe to broadcast."""
+    given = rows.columns
+    rows = rows.withColumn("_g", F.pmod(F.xxhash64(*given), F.lit(groups)).cast("int"))
+    before = Window.partitionBy(by).orderBy("_g").rowsBetween(Window.unboundedPreceding, -1)
+    offsets = rows.groupBy(by, "_g").agg(F.count("*").alias("_n")).select(by, "_g", F.coalesce(F.sum("_n").over(before), F.lit(0)).alias("_before"))
+    within = F.row_number().over(Window.partitionBy(by, "_g").orderBy(*[c for c in given if c != by]))
+    return rows.withColumn("_in", within).join(F.broadcast(offsets), [by, "_g"]).select(*given, (F.col("_before") + F.col("_in") - 1).cast("long").alias(name))
+
+
 def utf8(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     """The bytes of a string or binary array and its row offsets; nulls are empty."""
     if column.null_count:

@@ -17,6 +17,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from .common import chunks, lower_table, table, utf8, word_hashes
+from .suffixes import bounds, refine
 
 WINDOW = 13
 #: Benchmark words that are matched in one block; a larger benchmark takes further blocks.
@@ -31,60 +32,6 @@ def kinds() -> np.ndarray:
     return t
 
 
-def suffix_array(seq: np.ndarray, depth: int) -> np.ndarray:
-    """Starts of the suffixes of seq, sorted by their first `depth` numbers, by doubling the compared length; only groups that are still tied are sorted again."""
-    n = len(seq)
-    if n == 0:
-        return np.zeros(0, np.int64)
-    order = np.argsort(seq, kind="stable")
-    new = np.append(True, seq[order[1:]] != seq[order[:-1]])
-    rank = np.empty(n + 1, np.int64)
-    rank[n] = -1
-    rank[order] = np.maximum.accumulate(np.where(new, np.arange(n), 0))
-    h = 1
-    while h < depth:
-        ends = np.append(new[1:], True)
-        tied = np.flatnonzero(~(new & ends))
-        if not len(tied):
-            break
-        s = order[tied]
-        key = rank[np.minimum(s + h, n)]
-        sub = np.lexsort((key, rank[s]))
-        s, key = s[sub], key[sub]
-        group = rank[s]
-        order[tied] = s
-        new[tied] = np.append(True, (group[1:] != group[:-1]) | (key[1:] != key[:-1]))
-        fresh = np.maximum.accumulate(np.where(new, np.arange(n), 0))
-        rank[s] = fresh[tied]
-        h *= 2
-    return order
-
-
-def bounds(seq: np.ndarray, order: np.ndarray, queries: np.ndarray, lengths: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """First and end place in the suffix array of the suffixes that begin with queries[i, :lengths[i]], by binary search for all queries together."""
-    n, q, wide = len(seq), len(queries), queries.shape[1]
-    padded = np.concatenate([seq, np.full(wide, -1, seq.dtype)])
-    inside = np.arange(wide) < lengths[:, None]
-
-    def search(right: bool) -> np.ndarray:
-        low, high = np.zeros(q, np.int64), np.full(q, n, np.int64)
-        while True:
-            open_ = np.flatnonzero(low < high)
-            if not len(open_):
-                return low
-            mid = (low[open_] + high[open_]) // 2
-            have = padded[order[mid][:, None] + np.arange(wide)]
-            differs = (have != queries[open_]) & inside[open_]
-            at = differs.argmax(1)
-            rows = np.arange(len(open_))
-            any_ = differs[rows, at]
-            less = np.where(any_, have[rows, at] < queries[open_][rows, at], right)
-            low[open_] = np.where(less, mid + 1, low[open_])
-            high[open_] = np.where(less, high[open_], mid)
-
-    return search(False), search(True)
-
-
 def index_items(ids: list[str], texts: pa.Array) -> dict:
     """A block of the benchmark as arrays: its words' hashes, and its windows as rows of word numbers with their items."""
     raw, offs = utf8(texts)
@@ -138,7 +85,7 @@ def match(raw: np.ndarray, offs: np.ndarray, blocks: list[dict]) -> tuple[np.nda
         last = np.zeros(base[-1], bool)
         last[base[1:] - 1] = True
         seq = np.where(last, -1, at[np.minimum(word, len(h) - 1)])
-        order = suffix_array(seq, WINDOW)
+        order = refine(seq, 1, WINDOW)
         low, high = bounds(seq, order, b["windows"], b["lens"])
         for w in np.flatnonzero(high > low):
             p = word[order[low[w] : high[w]]]
@@ -163,7 +110,7 @@ def longest_match(raw: np.ndarray, offs: np.ndarray, query: str) -> tuple[int, l
     seq = np.full(base[-1], -1, np.int64)
     row = np.repeat(np.arange(len(size)), size - 1)
     seq[np.arange(len(h)) + row] = np.searchsorted(vocab, h)
-    order = suffix_array(seq, len(qh))
+    order = refine(seq, 1, len(qh))
     numbers = np.searchsorted(vocab, qh)[None, :]
     best, places = 0, np.zeros(0, np.int64)
     low_k, high_k = 1, len(qh)

@@ -10,13 +10,10 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
-from pyspark.sql import Column, DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import table
-
-#: Sub-groups by hash that a shard's rows are numbered in, so that no task sorts a whole shard.
-SLOT_GROUPS = 64
+from .common import number, table
 
 
 @dataclass(frozen=True)
@@ -51,22 +48,11 @@ def assign(docs: DataFrame, key: Column, leaves: list[Leaf], grown: list[Leaf] |
     return out if grown is None else out.withColumn("grown_shard", descend(key, grown))
 
 
-def slots(rows: DataFrame, groups: int = SLOT_GROUPS) -> DataFrame:
-    """Number the rows of each shard from 0 without gaps: offsets of (shard, group) from their counts, then places within.
-
-    The counts are (shards x groups) rows at most, whatever the input."""
-    rows = rows.withColumn("_g", F.pmod(F.xxhash64(*rows.columns), F.lit(groups)).cast("int"))
-    before = Window.partitionBy("shard").orderBy("_g").rowsBetween(Window.unboundedPreceding, -1)
-    offsets = rows.groupBy("shard", "_g").agg(F.count("*").alias("_n")).select("shard", "_g", F.coalesce(F.sum("_n").over(before), F.lit(0)).alias("_before"))
-    within = F.row_number().over(Window.partitionBy("shard", "_g").orderBy(*[c for c in rows.columns if c not in ("shard", "_g")]))
-    return rows.withColumn("_in", within).join(F.broadcast(offsets), ["shard", "_g"]).withColumn("slot", (F.col("_before") + F.col("_in") - 1).cast("long")).drop("_g", "_in", "_before")
-
-
 def op3_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Null ids share one key; a null text counts 8 bytes and the crc of the empty text; repeated rows get slots of their own."""
     docs = table(spark, sf_dir, "documents")
     body = F.coalesce(F.col("text"), F.lit("")).cast("binary")
     rows = docs.select("doc_id", (F.octet_length(body) + 8).cast("long").alias("size"), F.crc32(body).alias("text_crc32"))
     placed = assign(rows, F.coalesce(F.col("doc_id").cast("string"), F.lit("")), tree(24), tree(25))
-    out = slots(placed)
+    out = number(placed, "shard", "slot")
     return out.select("doc_id", "size", "text_crc32", F.lit("key").alias("law"), "shard", "slot", "grown_shard")

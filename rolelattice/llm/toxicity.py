@@ -85,6 +85,7 @@ def sample(docs: DataFrame, labels: DataFrame, label: str, rows: int, chars: int
     got = (
         docs.select("doc_id", F.substring(F.coalesce("text", F.lit("")), 1, chars).alias("_t"))
         .join(F.broadcast(chosen), "doc_id")  # at most `rows` ids and labels
+        .groupBy("doc_id").agg(F.min("_t").alias("_t"), F.first("_y").alias("_y"), F.first("_o").alias("_o"))
         .toPandas()
         .sort_values(["_o", "_t"])
         .drop_duplicates("_t")
