@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import tempfile
+import uuid
 from collections.abc import Iterator
 
 import numpy as np
@@ -35,6 +36,16 @@ def crc_mod4() -> F.Column:
     return F.pmod(F.crc32(F.coalesce(F.col("doc_id").cast("string"), F.lit("")).cast("binary")), F.lit(4))
 
 
+def stored(df: DataFrame) -> DataFrame:
+    """df written once as compressed Parquet beside the checkpoints, and read from there; it lasts as long as that folder."""
+    sc = df.sparkSession.sparkContext
+    if sc.getCheckpointDir() is None:
+        sc.setCheckpointDir(df.sparkSession.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="checkpoints-"))
+    path = f"{sc.getCheckpointDir()}/stored-{uuid.uuid4().hex}"
+    df.write.option("compression", "zstd").parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
 def extend(df: DataFrame, name: str, kind: str) -> tuple[DataFrame, T.StructType]:
     """df without a column of this name (in any case of letters), and its schema with that column at the end."""
     df = df.drop(*[c for c in df.columns if c.lower() == name.lower()])
