@@ -22,10 +22,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import chunks, cut, mix, parts, prefix_hash, span_hash, table
+from .common import chunks, cut, mix, parts, prefix_hash, span_hash, stored, table
 from .suffixes import bounds, kasai, refine, words8
 
-LENGTH, WIDTH = 400, 360
+LENGTH, WIDTH = 400, 280
 #: Bytes after an anchor that each of its windows holds.
 CONTEXT = LENGTH - WIDTH + 1
 #: Distinct stretches of a group that a shard takes, and bytes at which a shard is closed.
@@ -212,7 +212,7 @@ def repeats(docs: DataFrame) -> DataFrame:
     """_id, _key, starts: ranges (lo, hi) of the window starts of a document whose LENGTH bytes start elsewhere, too."""
     texts = keyed(docs)
     found = stretches(texts)
-    kinds = found.groupBy("h", "s").agg(F.count("*").alias("copies"))
+    kinds = stored(found.groupBy("h", "s").agg(F.count("*").alias("copies")))
     groups = kinds.groupBy("h").agg(F.count("*").alias("kinds"), F.sum("copies").alias("rows")).where("rows > 1").select("h", "kinds")
     shared = kinds.join(groups, "h").where("kinds > 1 or copies > 1")
     at = cut(found.join(shared, ["h", "s"]).select("_id", "_key", "a", "b", "h", "s", "kinds", "copies"))
