@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import cut, number, table
+from .common import chunks, cut, number, table
 
 SEQUENCE = 2048
 #: Lengths are rounded up to multiples of this in the program.
@@ -57,24 +57,43 @@ class Ids(dict):
             held[path] = Ids(path)
         return held[path]
 
-    def __missing__(self, word: bytes) -> bytes:
-        if word.isascii() and word.isalpha() and not word.islower():
-            got = self[word.lower()]
-        else:
-            core = word.rstrip(_MARKS)
-            if len(core) < len(word) and core.isascii() and core.isalpha():
-                got = self[core.lower()] + self[word[len(core) :]]
-            else:
-                got = np.array(self.tokenizer.encode(word.decode("utf-8", "replace"), add_special_tokens=False).ids, "<u4").tobytes()
-        self[word] = got
-        return got
-
-    def of(self, text: bytes) -> bytes:
+    def parts_of(self, word: bytes) -> tuple[bytes, bytes]:
+        """The letters that are looked up for a word, and the punctuation after them; (word, nothing) for other words."""
+        core = word.rstrip(_MARKS)
+        if core.isascii() and core.isalpha():
+            return core.lower(), word[len(core) :]
+        return word, b""
+
+    def learn(self, words: set[bytes]) -> None:
+        """Encode what is not known yet: words of letters in one text, in which each is one pre-token; others one by one."""
+        new = {p for w in words for p in self.parts_of(w) if p and p not in self}
+        letters = [w for w in new if (t := w.decode("utf-8", "replace")).isalpha() and t.isascii()]
+        for at in range(0, len(letters), 2000):
+            some = letters[at : at + 2000]
+            e = self.tokenizer.encode(b" ".join(some).decode(), add_special_tokens=False)
+            ids, word = np.array(e.ids, "<u4"), np.array(e.word_ids)
+            edge = np.append(np.flatnonzero(np.append(True, word[1:] != word[:-1])), len(ids))
+            if len(edge) - 1 != len(some):
+                raise RuntimeError("a word was split before encoding")
+            data = ids.tobytes()
+            for w, i, j in zip(some, edge[:-1].tolist(), edge[1:].tolist(), strict=True):
+                self[w] = data[4 * i : 4 * j]
+        rest = sorted(new.difference(letters))
+        for w, e in zip(rest, self.tokenizer.encode_batch_fast([w.decode("utf-8", "replace") for w in rest], add_special_tokens=False), strict=True):
+            self[w] = np.array(e.ids, "<u4").tobytes()
+        for w in words:
+            if w not in self:
+                core, tail = self.parts_of(w)
+                self[w] = self[core] + self[tail] if tail else self[core]
+
+    def of_all(self, texts: list[bytes]) -> list[bytes]:
         if len(self) > CACHE_WORDS:  # the words seen first are the common ones
             first = list(islice(self.items(), CACHE_WORDS // 2))
             self.clear()
             self.update(first)
-        return b"".join(map(self.__getitem__, text.split()))
+        words = [t.split() for t in texts]
+        self.learn(set().union(*words).difference(self.keys()))
+        return [b"".join(map(self.__getitem__, w)) for w in words]
 
 
 def pieces(docs: DataFrame, path: str, sequence: int = SEQUENCE) -> DataFrame:
@@ -85,11 +104,12 @@ def pieces(docs: DataFrame, path: str, sequence: int = SEQUENCE) -> DataFrame:
 
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         ids, end = Ids.of_worker(path), np.array([END_ID], "<u4").tobytes()
-        for batch in batches:
+        for rows, raw, offs in chunks(batches):
             out: list[list] = [[], [], [], [], []]
-            for doc, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
-                body = text.as_buffer().to_pybytes() if text.is_valid else b""
-                got = ids.of(body) + end
+            body = raw.tobytes()
+            texts = [body[a:b] for a, b in zip(offs[:-1].tolist(), offs[1:].tolist(), strict=True)]
+            for doc, got in zip(rows.column(0).to_pylist(), ids.of_all(texts), strict=True):
+                got += end
                 n = len(got) // 4
                 for s in range(0, n, sequence):
                     part = got[4 * s : 4 * (s + sequence)]
