@@ -27,6 +27,8 @@ TAG = re.compile(r"<!--.*?(?:-->|\Z)|<[!?][^>]*+(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*+
 ATTR = re.compile(r"([^\s=/\"'>]+)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+)))?")
 SPACE = re.compile(r"\s+")
 ENDS = {t: re.compile(rf"</{t}(?=[\s/>]|\Z)", re.I) for t in RAW}
+#: Path of a page without elements that hold others.
+ROOT = "page"
 #: A container is voted for if it is the deepest with this share of its page's score.
 SHARE = 0.8
 
@@ -58,7 +60,7 @@ def blocks(page: str) -> list[tuple[str, str, int]]:
                 k = len(stack) - 1
                 while k > 0 and (stack[k][0] in LEAF or stack[k][0] not in BLOCK):
                     k -= 1
-                out.append((stack[k][1] if stack else "", t, state["links"]))
+                out.append((stack[k][1] if stack else ROOT, t, state["links"]))
         state["links"] = 0
 
     def close(k: int) -> None:
@@ -125,7 +127,7 @@ def blocks(page: str) -> list[tuple[str, str, int]]:
                     close(i)
                     break
         name, bad = label(tag, attrs)
-        above = stack[-1] if stack else ("", "", False)
+        above = stack[-1] if stack else ("", ROOT, False)
         stack.append((tag, f"{above[1]}>{name}" if tag in BLOCK and tag not in LEAF else above[1], above[2] or bad and tag not in ("html", "body") or tag in DROP))
         noise = stack[-1][2]
         link += tag == "a"
