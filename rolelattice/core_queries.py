@@ -335,10 +335,61 @@ def recall_hnsw(s: SparkSession, d: str) -> DataFrame:
     return out
 
 
-def filtered_recall(s: SparkSession, d: str, p: str, efs: int = EFS) -> DataFrame:
-    """variant, recall of filtering during traversal on one global graph."""
+def _filtered_scan(roles: dict[int, frozenset[int]], two: bool, efs: int) -> Callable:
     from .operators import hnsw
 
+    def run(qs, vs):  # noqa: ANN001, ANN202
+        import numpy as np
+        import pandas as pd
+
+        if not len(qs) or not len(vs):
+            return pd.DataFrame({"qid": [], "vec_id": [], "dist": []})
+        graph, rows = hnsw.Graph.load(vs["graph"].iloc[0]), []
+        for x in qs.itertuples():
+            ok = np.array([bool(roles[i] & frozenset(x.roles)) for i in graph.blocks.tolist()])
+            rows += [(x.qid, int(graph.ids[i]), dist) for dist, i in hnsw.filtered(graph, x.x, ok, K, efs, two)]
+        return pd.DataFrame(rows, columns=["qid", "vec_id", "dist"])
+
+    return run
+
+
+@_q("e_efs_A")
+def efs_grid(s: SparkSession, d: str) -> DataFrame:
+    """method, efs, recall: graph search of each layout over a grid of beams."""
+    q, v, t, b = role_queries(s, d, "A", 50)
+    truth, c = osr.exact(q, v, t, b).persist(), control(b, M, EFS)
+    out = None
+    for method in ("sweep", "mined", "rolepart", "oracle"):
+        held, plan = tables(s, c, layout_of(c, method, 1.1, THRESHOLD["A"]))
+        placed = place(v, t, b, held)
+        g = graphs(placed).persist()
+        for efs in (10, 50, 100):
+            r = om.recall(osr.independent(q, plan, placed, c.roles, g, K, efs), truth).select(F.lit(method).alias("method"), F.lit(efs).alias("efs"), "recall")
+            out = r if out is None else out.union(r)
+    return out
+
+
+@_q("e_sensitivity_A")
+def sensitivity(s: SparkSession, d: str) -> DataFrame:
+    """share, recall: query vectors drawn from what the role may read in that share, else from the rest."""
+    q, v, t, b = role_queries(s, d, "A", 60)
+    c = control(b, M, EFS)
+    held, plan = tables(s, c, layout_of(c, "sweep", 1.1, THRESHOLD["A"]))
+    placed = place(v, t, b, held)
+    g = graphs(placed).persist()
+    n = v.agg(F.max("vec_id")).first()[0] + 1
+    other = q.select("qid", "roles", "qclass", ((F.col("qid") * 104729 + 7) % n).alias("vec_id")).join(t.select("vec_id", F.col("roles").alias("held")), "vec_id").where("not arrays_overlap(roles, held)").join(v, "vec_id").select("qid", F.col("embedding").alias("x"), "roles", "qclass")
+    out = None
+    for share in (0.0, 0.25, 0.5, 0.75, 1.0):
+        inside = F.pmod(F.col("qid") * 7919, F.lit(100)) < int(share * 100)
+        mixed = q.where(inside).select("qid", "x", "roles", "qclass").union(other.where(~inside).select("qid", "x", "roles", "qclass"))
+        r = om.recall(osr.independent(mixed, plan, placed, c.roles, g, K, EFS), osr.exact(mixed, v, t, b)).select(F.lit(share).alias("share"), "recall")
+        out = r if out is None else out.union(r)
+    return out
+
+
+def filtered_recall(s: SparkSession, d: str, p: str, efs: int = EFS) -> DataFrame:
+    """variant, recall of filtering during traversal on one global graph."""
     q, v, t, b = role_queries(s, d, p)
     truth = osr.exact(q, v, t, b)
     c = control(b, M, EFS)
@@ -350,20 +401,7 @@ def filtered_recall(s: SparkSession, d: str, p: str, efs: int = EFS) -> DataFram
     for name, two, m in (("one_hop", True, 16), ("gamma", False, 48)):
         g = graphs(placed, m=m)
 
-        def run(key, qs, vs, two=two):  # noqa: ANN001, ANN202
-            import numpy as np
-            import pandas as pd
-
-            rows: list = []
-            if not len(qs) or not len(vs):
-                return pd.DataFrame({"qid": [], "vec_id": [], "dist": []})
-            graph = hnsw.Graph.load(vs["graph"].iloc[0])
-            for x in qs.itertuples():
-                ok = np.array([bool(roles[i] & frozenset(x.roles)) for i in graph.blocks.tolist()])
-                rows += [(x.qid, int(graph.ids[i]), dist) for dist, i in hnsw.filtered(graph, x.x, ok, K, efs, two)]
-            return pd.DataFrame(rows, columns=["qid", "vec_id", "dist"])
-
-        got = spread.groupBy("unit_id", "shard").cogroup(g.select(*[F.col(c).alias(c) for c in g.columns]).groupBy("unit_id", "shard")).applyInPandas(run, osr.HITS)
+        got = spread.groupBy("unit_id", "shard").cogroup(g.select(*[F.col(c).alias(c) for c in g.columns]).groupBy("unit_id", "shard")).applyInPandas(_filtered_scan(roles, two, efs), osr.HITS)
         r = om.recall(osr.best(got, k=K), truth).withColumn("variant", F.lit(name))
         out = r if out is None else out.union(r)
     return out
