@@ -7,7 +7,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .tables import doc, emb, lin, lin_ids, table
+from .tables import doc, emb, emb_ids, lin, lin_ids, table
 
 CUT = 10007
 
@@ -71,7 +71,7 @@ def tags(spark: SparkSession, sf_dir: str, policy: str) -> DataFrame:
     if policy == "A":
         conds = [c("vec_id") % 2 == 0, c("vec_id") % 3 == 0, c("vec_id") % 5 == 0, c("label") >= 5]
         free = ~(conds[0] | conds[1] | conds[2] | conds[3])
-        return emb(spark, sf_dir).select("vec_id", _roles(*enumerate([*conds, free], 1)).alias("roles"))
+        return emb_ids(spark, sf_dir).select("vec_id", _roles(*enumerate([*conds, free], 1)).alias("roles"))
     if policy == "B":
         # customer and nation follow from their keys; orders and line items join by the order key
         nation = F.broadcast(table(spark, sf_dir, "nation").select("n_nationkey", "n_regionkey"))  # 25 rows by definition
@@ -87,7 +87,7 @@ def tags(spark: SparkSession, sf_dir: str, policy: str) -> DataFrame:
         pairs = [(i, c("lang") == x) for i, x in enumerate(LANGS)] + [(4 + g, group == g) for g in range(8)] + [(12, c("toxic") == 1), (13, c("quality") == 1)]
         return docs.select(c("doc_id").alias("vec_id"), _roles(*pairs).alias("roles"))
     if policy == "D":
-        return emb(spark, sf_dir).select("vec_id", zipf_roles(c("vec_id"), D).alias("roles"))
+        return emb_ids(spark, sf_dir).select("vec_id", zipf_roles(c("vec_id"), D).alias("roles"))
     return lin_ids(spark, sf_dir).select("vec_id", zipf_roles(c("vec_id"), E).alias("roles"))
 
 

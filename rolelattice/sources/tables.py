@@ -18,6 +18,11 @@ def emb(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rows.where(F.col("vec_id").isNotNull() & F.col("embedding").isNotNull() & ~F.exists("embedding", lambda v: v.isNull()))
 
 
+def emb_ids(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """vec_id, label without the vectors, for everything that needs sizes and tags only; vectors are checked where they are read."""
+    return table(spark, sf_dir, "embeddings").select("vec_id", "label").where(F.col("vec_id").isNotNull())
+
+
 LIN_KEYS = ("l_orderkey", "l_partkey", "l_suppkey", "l_linenumber", "l_shipdate", "l_extendedprice")
 
 
