@@ -138,19 +138,25 @@ _q("agg_stats", "SELECT event_type, round(stddev_samp(value), 6) AS sd, round(va
 _q("agg_having", "SELECT o_custkey, count(*) AS n FROM orders GROUP BY 1 HAVING count(*) > 12")(lambda s, d: table(s, d, "orders").groupBy("o_custkey").agg(F.count("*").alias("n")).where("n > 12"))
 
 # windows
-_W = Window.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey")
+
+
+def _w():  # noqa: ANN202
+    """A customer's orders in time; made when asked for, since columns need a session."""
+    return Window.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey")
+
+
 _OW = "OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey)"
 for _n, _sql, _col in (
-    ("row_number", "row_number() " + _OW, F.row_number().over(_W)),
-    ("rank_dense", "CAST(dense_rank() " + _OW + " AS BIGINT) + rank() " + _OW, F.dense_rank().over(_W) + F.rank().over(_W)),
-    ("ntile", "ntile(4) " + _OW, F.ntile(4).over(_W)),
-    ("percent_rank", "round(percent_rank() " + _OW + ", 6)", F.round(F.percent_rank().over(_W), 6)),
-    ("cume_dist", "round(cume_dist() " + _OW + ", 6)", F.round(F.cume_dist().over(_W), 6)),
-    ("lag_lead", "coalesce(lag(o_orderkey) " + _OW + ", 0) + coalesce(lead(o_orderkey) " + _OW + ", 0)", F.coalesce(F.lag("o_orderkey").over(_W), F.lit(0)) + F.coalesce(F.lead("o_orderkey").over(_W), F.lit(0))),
-    ("first_last_nth", "first_value(o_orderkey) " + _OW + " + coalesce(nth_value(o_orderkey, 2) " + _OW + ", 0)", F.first("o_orderkey").over(_W) + F.coalesce(F.nth_value("o_orderkey", 2).over(_W), F.lit(0))),
-    ("rows_frame_budget", "round(sum(o_totalprice) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS UNBOUNDED PRECEDING), 2)", F.round(F.sum("o_totalprice").over(_W.rowsBetween(Window.unboundedPreceding, 0)), 2)),
+    ("row_number", "row_number() " + _OW, lambda: F.row_number().over(_w())),
+    ("rank_dense", "CAST(dense_rank() " + _OW + " AS BIGINT) + rank() " + _OW, lambda: F.dense_rank().over(_w()) + F.rank().over(_w())),
+    ("ntile", "ntile(4) " + _OW, lambda: F.ntile(4).over(_w())),
+    ("percent_rank", "round(percent_rank() " + _OW + ", 6)", lambda: F.round(F.percent_rank().over(_w()), 6)),
+    ("cume_dist", "round(cume_dist() " + _OW + ", 6)", lambda: F.round(F.cume_dist().over(_w()), 6)),
+    ("lag_lead", "coalesce(lag(o_orderkey) " + _OW + ", 0) + coalesce(lead(o_orderkey) " + _OW + ", 0)", lambda: F.coalesce(F.lag("o_orderkey").over(_w()), F.lit(0)) + F.coalesce(F.lead("o_orderkey").over(_w()), F.lit(0))),
+    ("first_last_nth", "first_value(o_orderkey) " + _OW + " + coalesce(nth_value(o_orderkey, 2) " + _OW + ", 0)", lambda: F.first("o_orderkey").over(_w()) + F.coalesce(F.nth_value("o_orderkey", 2).over(_w()), F.lit(0))),
+    ("rows_frame_budget", "round(sum(o_totalprice) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS UNBOUNDED PRECEDING), 2)", lambda: F.round(F.sum("o_totalprice").over(_w().rowsBetween(Window.unboundedPreceding, 0)), 2)),
 ):
-    _q(f"win_{_n}", f"SELECT o_orderkey, {_sql} AS v FROM orders")(lambda s, d, x=_col: table(s, d, "orders").select("o_orderkey", x.alias("v")))
+    _q(f"win_{_n}", f"SELECT o_orderkey, {_sql} AS v FROM orders")(lambda s, d, x=_col: table(s, d, "orders").select("o_orderkey", x().alias("v")))
 _q("win_range_frame_time", "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY epoch_ms(ts) // 1000 RANGE BETWEEN 86400 PRECEDING AND CURRENT ROW) AS n FROM events")(lambda s, d: table(s, d, "events").select("event_id", F.count("*").over(Window.partitionBy("user_id").orderBy(F.unix_timestamp("ts")).rangeBetween(-86400, 0)).alias("n")))
 _q("win_topk_per_query", "SELECT * FROM (SELECT o_custkey, o_orderkey, row_number() OVER (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey) AS r FROM orders) WHERE r <= 3")(lambda s, d: table(s, d, "orders").select("o_custkey", "o_orderkey", F.row_number().over(Window.partitionBy("o_custkey").orderBy(F.desc("o_totalprice"), "o_orderkey")).alias("r")).where("r <= 3"))
 
