@@ -10,7 +10,7 @@ from __future__ import annotations
 
 import zlib
 from collections.abc import Iterator
-from itertools import islice
+from itertools import filterfalse, islice
 
 import numpy as np
 import pyarrow as pa
@@ -66,7 +66,8 @@ class Ids(dict):
 
     def learn(self, words: set[bytes]) -> None:
         """Encode what is not known yet: words of letters in one text, in which each is one pre-token; others one by one."""
-        new = {p for w in words for p in self.parts_of(w) if p and p not in self}
+        made = {w: self.parts_of(w) for w in words}
+        new = {p for both in made.values() for p in both if p and p not in self}
         letters = [w for w in new if (t := w.decode("utf-8", "replace")).isalpha() and t.isascii()]
         for at in range(0, len(letters), 2000):
             some = letters[at : at + 2000]
@@ -81,9 +82,8 @@ class Ids(dict):
         rest = sorted(new.difference(letters))
         for w, e in zip(rest, self.tokenizer.encode_batch_fast([w.decode("utf-8", "replace") for w in rest], add_special_tokens=False), strict=True):
             self[w] = np.array(e.ids, "<u4").tobytes()
-        for w in words:
+        for w, (core, tail) in made.items():
             if w not in self:
-                core, tail = self.parts_of(w)
                 self[w] = self[core] + self[tail] if tail else self[core]
 
     def of_all(self, texts: list[bytes]) -> list[bytes]:
@@ -92,7 +92,10 @@ class Ids(dict):
             self.clear()
             self.update(first)
         words = [t.split() for t in texts]
-        self.learn(set().union(*words).difference(self.keys()))
+        new: set[bytes] = set()
+        for w in words:
+            new.update(filterfalse(self.__contains__, w))
+        self.learn(new)
         return [b"".join(map(self.__getitem__, w)) for w in words]
 
 
