@@ -29,8 +29,7 @@ SPACE = re.compile(r"\s+")
 ENDS = {t: re.compile(rf"</{t}(?=[\s/>]|\Z)", re.I) for t in RAW}
 #: Path of a page without elements that hold others.
 ROOT = "page"
-#: A container is voted for if it is the deepest with this share of its page's score.
-SHARE = 0.8
+ARTICLE = re.compile(r">(?:article|main)(?=[.>]|\Z)")
 
 
 def label(tag: str, attrs: str) -> tuple[str, bool]:
@@ -128,28 +127,45 @@ def blocks(page: str) -> list[tuple[str, str, int]]:
                     break
         name, bad = label(tag, attrs)
         above = stack[-1] if stack else ("", ROOT, False)
-        stack.append((tag, f"{above[1]}>{name}" if tag in BLOCK and tag not in LEAF else above[1], above[2] or bad and tag not in ("html", "body") or tag in DROP))
+        stack.append((tag, f"{above[1]}>{name}" if tag in BLOCK and tag not in LEAF else above[1], above[2] or bad and tag not in ("html", "body") or tag in DROP and not (tag == "header" and in_article(above[1]))))
         noise = stack[-1][2]
         link += tag == "a"
     flush()
     return out
 
 
+def in_article(path: str) -> bool:
+    return bool(ARTICLE.search(path))
+
+
+def top(path: str) -> str:
+    """The outermost article or main on the path, else the path."""
+    m = ARTICLE.search(path)
+    return path if not m else path[: m.end()] + path[m.end() :].partition(">")[0]
+
+
+def own_text(found: list[tuple[str, str, int]]) -> list[tuple[str, int]]:
+    """(path, characters) of the blocks that say more outside links than in them: of those in articles, if these say most of the page."""
+    said = [(p, len(t) - 2 * links) for p, t, links in found if len(t) > 2 * links]
+    marked = [x for x in said if in_article(x[0])]
+    return marked if 2 * sum(n for _, n in marked) >= sum(n for _, n in said) else said
+
+
 def candidate(found: list[tuple[str, str, int]]) -> tuple[str, float]:
-    """The deepest container that holds most of the page's text outside links, and its score; within articles, if there are any."""
-    marked = [b for b in found if re.search(r">(article|main)\b", b[0])]
-    score: dict[str, float] = {}
-    total = 0.0
-    for path, t, links in marked or found:
-        s = max(0, len(t) - 2 * links)
-        total += s
-        while path:
-            score[path] = score.get(path, 0) + s
-            path = path.rpartition(">")[0]
-    if not total:
+    """The container of the page's text and the text's characters outside links: the article or main with most of it, else the deepest element that holds all of it."""
+    said = own_text(found)
+    if not said:
         return "", 0.0
-    best = max((p for p, s in score.items() if s >= SHARE * total), key=lambda p: (p.count(">"), score[p], p))
-    return best, score[best]
+    if all(in_article(p) for p, _ in said):
+        score: dict[str, float] = {}
+        for p, n in said:
+            score[top(p)] = score.get(top(p), 0.0) + n
+        best = max(score, key=lambda p: (score[p], p))
+        return best, score[best]
+    steps = [p.split(">") for p, _ in said]
+    low, high = min(steps), max(steps)
+    k = next((i for i, (x, y) in enumerate(zip(low, high, strict=False)) if x != y), min(len(low), len(high)))
+    return ">".join(low[:k]), float(sum(n for _, n in said))
 
 
 def below(path: str, top: str) -> bool:
@@ -175,13 +191,15 @@ def votes(pages: DataFrame) -> DataFrame:
 
 
 def main_text(page: str, path: str | None) -> str:
-    """The blocks under the host's path, or under the page's own candidate where the page has no such container."""
+    """All blocks in articles; unless these say most of the page, also those under the page's own container and under the host's path.
+
+    A page of links alone without an article has the blocks under the host's path, or else all its blocks."""
     found = blocks(page)
-    inside = [t for p, t, _ in found if path and below(p, path)]
-    if not inside:
-        own, _ = candidate(found)
-        inside = [t for p, t, _ in found if own and below(p, own)]
-    return "\n\n".join(inside)
+    own, _ = candidate(found)
+    held = [path] if path and (not own or not in_article(own)) else []
+    held += [own] if own else []
+    inside = [t for p, t, _ in found if in_article(p) or any(below(p, h) for h in held)]
+    return "\n\n".join(inside or [t for _, t, _ in found])
 
 
 #: Hosts whose paths are broadcast; beyond, pages are joined with them by salted host.
