@@ -5,6 +5,7 @@ from __future__ import annotations
 import html as entities
 import re
 from collections.abc import Iterator
+from dataclasses import dataclass, field
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -15,12 +16,14 @@ from .common import cut, table
 # Element names by their role on a page.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 RAW = frozenset("script style noscript template iframe textarea title svg math object select option button canvas audio video".split())
-DROP = frozenset("nav header footer aside form menu dialog head label fieldset legend".split())
+DROP = frozenset("nav header footer aside menu dialog head label fieldset legend".split())
 BLOCK = frozenset("address article aside blockquote body caption center dd details dialog div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hr html li main menu nav ol p pre section summary table tbody td tfoot th thead tr ul".split())
 LEAF = frozenset("p h1 h2 h3 h4 h5 h6 li dt dd td th pre caption figcaption summary".split())
 # An opening tag of the first ends an open element of the second within the third.
 CLOSES = {"li": ({"li"}, {"ul", "ol", "menu"}), "dt": ({"dt", "dd"}, {"dl"}), "dd": ({"dt", "dd"}, {"dl"}), "tr": ({"tr"}, {"table"}), "td": ({"td", "th"}, {"tr"}), "th": ({"td", "th"}, {"tr"})}
 NOISE = frozenset("ad ads adv advert adverts advertisement advertising sponsor sponsored sponsors promo promotion banner cookie cookies consent gdpr notice notices alert comment comments commentlist reply replies respond disqus sidebar aside menu nav navbar navigation breadcrumb breadcrumbs share sharing social related recommended newsletter subscribe subscription signup login popup modal overlay footer header masthead toolbar pagination pager widget hidden skip".split())
+#: Of these, names of an article's own head, and of readers' comments.
+HEADS, TALK = frozenset(("header", "masthead")), frozenset("comment comments commentlist reply replies respond disqus".split())
 ROLES = frozenset("navigation banner contentinfo complementary search menu menubar dialog alert alertdialog form".split())
 
 TAG = re.compile(r"<!--.*?(?:-->|\Z)|<[!?][^>]*+(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*+)((?:[^>\"']|\"[^\"]*+\"|'[^']*+')*+)(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*+)([^>]*+)(?:>|\Z)", re.S)
@@ -32,21 +35,57 @@ ROOT = "page"
 ARTICLE = re.compile(r">(?:article|main)(?=[.>]|\Z)")
 
 
-def label(tag: str, attrs: str) -> tuple[str, bool]:
-    """The generalised name of an element (digits of its classes masked) and whether it is noise by its attributes."""
+def names_noise(token: str) -> bool:
+    """Whether a class or id as a whole says noise: each of its words does."""
+    words = [w for w in re.split(r"[^a-z]+", token) if w]
+    return bool(words) and NOISE.issuperset(words)
+
+
+def label(tag: str, attrs: str) -> tuple[str, set[str], bool]:
+    """The generalised name of an element (digits of its classes masked), the words of its classes and ids that say noise, and whether other attributes do."""
     if not attrs or "=" not in attrs and "hidden" not in attrs:
-        return tag, False
+        return tag, set(), False
     got = {k.lower(): a or b or c for k, a, b, c in ATTR.findall(attrs)}
     classes = entities.unescape(got.get("class", "")).lower().split()
-    words = {w for c in [*classes, *got.get("id", "").lower().split()] for w in re.split(r"[^a-z]+", c)}
-    noise = bool(words & NOISE) or got.get("role", "").lower() in ROLES or "hidden" in got or got.get("aria-hidden") == "true" or bool(re.search(r"display\s*:\s*none|visibility\s*:\s*hidden", got.get("style", ""), re.I))
-    return ".".join([tag, *sorted({re.sub(r"\d+", "#", c) for c in classes})]), noise
+    named = {w for t in [*classes, *got.get("id", "").lower().split()] if names_noise(t) for w in re.split(r"[^a-z]+", t) if w}
+    noise = got.get("role", "").lower() in ROLES or "hidden" in got or got.get("aria-hidden") == "true" or bool(re.search(r"display\s*:\s*none|visibility\s*:\s*hidden", got.get("style", ""), re.I))
+    return ".".join([tag, *sorted({re.sub(r"\d+", "#", c) for c in classes})]), named, noise
+
+
+@dataclass
+class Named:
+    """The elements of a page that are noise by name, numbered from 0: the characters outside links in them, and in articles in them."""
+
+    held: list[list[int]] = field(default_factory=list)
+    total: list[int] = field(default_factory=lambda: [0, 0])
+    free: int = 0
+    around: set[int] = field(default_factory=set)
+    talk: set[int] = field(default_factory=set)
+
+    def wraps(self) -> set[int]:
+        """Those whose name does not count: they hold most of the text (of articles, if there are any), or articles that are nowhere else. Readers' comments are none of these."""
+        k = int(self.total[1] > 0)
+        most = {e for e, n in enumerate(self.held) if 2 * n[k] > self.total[k]}
+        return (most if self.free else most | self.around) - self.talk
 
 
 def blocks(page: str) -> list[tuple[str, str, int]]:
-    """(path of the container, text, characters of links) of each block that is not noise, in page order."""
+    """(path of the container, text, characters of links) of each block that is not noise, in page order; if names leave nothing, no name counts."""
+    found, named = parse(page, set())
+    if named.held:
+        wraps = named.wraps()
+        if wraps:
+            found, _ = parse(page, wraps)
+        if not found:
+            found, _ = parse(page, set(range(len(named.held))))
+    return found
+
+
+def parse(page: str, lifted: set[int]) -> tuple[list[tuple[str, str, int]], Named]:
+    """The blocks outside noise, where the names of lifted elements do not count, and what the named elements hold."""
     out: list[tuple[str, str, int]] = []
-    stack: list[tuple[str, str, bool]] = []  # element, path, noise here or above
+    stack: list[tuple[str, str, bool, tuple[int, ...], bool]] = []  # element, path, noise here or above, named elements here and above, noise for other reasons
+    named = Named()
     words: list[str] = []
     state = {"links": 0}
 
@@ -71,6 +110,15 @@ def blocks(page: str) -> list[tuple[str, str, int]]:
     noise, link = False, 0
 
     def take(s: str) -> None:
+        if s and not link and not (stack and stack[-1][4]):
+            size, inside = len(s.strip()), bool(stack) and in_article(stack[-1][1])
+            named.total[0] += size
+            named.total[1] += size * inside
+            for e in stack[-1][3] if stack else ():
+                named.held[e][0] += size
+                named.held[e][1] += size * inside
+            if inside and not stack[-1][3]:
+                named.free += size
         if s and not noise:
             t = entities.unescape(s) if "&" in s else s
             words.append(t)
@@ -125,13 +173,23 @@ def blocks(page: str) -> list[tuple[str, str, int]]:
                 if stack[i][0] in ends:
                     close(i)
                     break
-        name, bad = label(tag, attrs)
-        above = stack[-1] if stack else ("", ROOT, False)
-        stack.append((tag, f"{above[1]}>{name}" if tag in BLOCK and tag not in LEAF else above[1], above[2] or bad and tag not in ("html", "body") or tag in DROP and not (tag == "header" and in_article(above[1]))))
+        name, says, bad = label(tag, attrs)
+        above = stack[-1] if stack else ("", ROOT, False, (), False)
+        path = f"{above[1]}>{name}" if tag in BLOCK and tag not in LEAF else above[1]
+        heads, whole, mine = in_article(above[1]), tag in ("html", "body"), above[3]
+        other = above[4] or bad and not whole or tag in DROP and not (tag == "header" and heads)
+        if not whole and (says - HEADS if heads else says) or tag == "form":
+            mine = (*mine, len(named.held))
+            if says & TALK:
+                named.talk.add(len(named.held))
+            named.held.append([0, 0])
+        if tag in ("article", "main") and not other:
+            named.around.update(mine)
+        stack.append((tag, path, other or not lifted.issuperset(mine), mine, other))
         noise = stack[-1][2]
         link += tag == "a"
     flush()
-    return out
+    return out, named
 
 
 def in_article(path: str) -> bool:

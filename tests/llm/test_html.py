@@ -23,3 +23,18 @@ def test_pages_of_links_have_text():
     assert html.main_text("<body><div><a href=a>only link</a></div></body>", None) == "only link"
     card = "<body><div>the text of this page is here</div><article><p>card</p></article></body>"
     assert html.main_text(card, None) == "the text of this page is here\n\ncard"
+
+
+def test_names_around_the_content_are_not_noise():
+    inner = "<h1>Head</h1><p>" + "words of the text " * 20 + "</p>"
+    for around in ("<div class='layout has-sidebar'>{}</div>", "<div id='page-no-comments'>{}</div>", "<div class='widget'><article class='post widget-ready'>{}</article></div>", "<main class='with-header'>{}</main>", "<div class=sidebar>{}</div>", "<form id=aspnet>{}</form>", "<div class=hidden><div class=social>{}</div></div>"):
+        page = f"<body>{around.format(inner)}<div class=ad>buy</div><div id='cookie-banner'>we use cookies</div></body>"
+        got = html.main_text(page, None)
+        assert got.startswith("Head\n\nwords of") and "buy" not in got and "cookies" not in got, around
+
+
+def test_names_within_the_content_stay_noise():
+    talk = "<section id=comments><article class=comment><p>" + "a reader says this " * 40 + "</p></article></section>"
+    page = f"<body><main><article class=post><div class=header><h1>Head</h1></div><p>short <span class=share>share</span>text</p><form>mail</form></article>{talk}</main></body>"
+    assert html.main_text(page, None) == "Head\n\nshort text"
+    assert html.main_text("<body><div class=comments><p>only this</p></div></body>", None) == "only this"
