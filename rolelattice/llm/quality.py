@@ -14,8 +14,8 @@ from .common import chunks, crc_mod4, extend, lower_table, mix, table, word_hash
 from .toxicity import sample
 
 BITS = 18
-#: The bound of the labelled sample that a model is fitted on.
-SAMPLE_ROWS, SAMPLE_CHARS = 5000, 12_000
+#: The bound of the labelled sample that a model is fitted on: rows, each with its whole text.
+SAMPLE_ROWS = 5000
 THRESHOLD = 0.7
 
 
@@ -51,23 +51,30 @@ def features(raw: np.ndarray, offs: np.ndarray, kind: np.ndarray, low: np.ndarra
     return rows, key & ((1 << BITS) - 1), value / norm[rows] if len(rows) else value
 
 
-def fit(texts: list[str], y: np.ndarray, alpha: float = 0.3, beta: float = 1.0, l1: float = 0.02, l2: float = 0.05, passes: int = 3) -> Model:
-    """Per-coordinate FTRL, one text at a time."""
-    size, kind, low = 1 << BITS, kinds(), lower_table()
+def encode(raw: np.ndarray) -> bytes:
+    """The features of a text and their values."""
+    _, i, x = features(raw, np.array([0, len(raw)]), kinds(), lower_table())
+    return i.astype(np.int64).tobytes() + x.astype(np.float64).tobytes()
+
+
+def decode(data: bytes) -> tuple[np.ndarray, np.ndarray]:
+    n = len(data) // 16
+    return np.frombuffer(data, np.int64, n), np.frombuffer(data, np.float64, n, 8 * n)
+
+
+def fit(texts: list[bytes], y: np.ndarray, alpha: float = 0.3, beta: float = 1.0, l1: float = 0.02, l2: float = 0.05, passes: int = 3) -> Model:
+    """Per-coordinate FTRL, one text (as encoded) at a time."""
+    size = 1 << BITS
     z, n, zb, nb = np.zeros(size), np.zeros(size), 0.0, 0.0
-    rows = []
-    for t in texts:
-        raw = np.frombuffer(t.encode("utf-8", "replace"), np.uint8)
-        _, i, x = features(raw, np.array([0, len(raw)]), kind, low)
-        rows.append((i, x * 4))
 
     def weights(zi: np.ndarray, ni: np.ndarray) -> np.ndarray:
         return np.where(np.abs(zi) <= l1, 0.0, -(zi - np.sign(zi) * l1) / ((beta + np.sqrt(ni)) / alpha + l2))
 
     order = np.random.default_rng(7)
     for _ in range(passes):
-        for k in order.permutation(len(rows)):
-            i, x = rows[k]
+        for k in order.permutation(len(texts)):
+            i, x = decode(texts[k])
+            x = x * 4
             w = weights(z[i], n[i])
             b = -zb / ((beta + np.sqrt(nb)) / alpha)
             g = 1 / (1 + np.exp(-np.clip(w @ x + b, -30, 30))) - y[k]
@@ -95,8 +102,8 @@ def score_all(docs: DataFrame, model: Model, name: str = "score") -> DataFrame:
     return docs.mapInArrow(run, schema)
 
 
-def fit_labelled(docs: DataFrame, labels: DataFrame, label: str = "quality", rows: int = SAMPLE_ROWS, chars: int = SAMPLE_CHARS) -> Model:
-    return fit(*sample(docs, labels, label, rows, chars))
+def fit_labelled(docs: DataFrame, labels: DataFrame, label: str = "quality", rows: int = SAMPLE_ROWS) -> Model:
+    return fit(*sample(docs, labels, label, rows, encode))
 
 
 def op6_quality(spark: SparkSession, sf_dir: str) -> DataFrame:

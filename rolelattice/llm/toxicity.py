@@ -2,20 +2,21 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
-from .common import chunks, crc_mod4, extend, lower_table, table
+from .common import chunks, crc_mod4, cut, extend, lower_table, table
 
 BITS = 18
 SIZES = (4, 5)
-#: The bound of the labelled sample that a model is fitted on: rows, and characters taken from each of them for fitting only.
-SAMPLE_ROWS, SAMPLE_CHARS = 5000, 12_000
+#: The bound of the labelled sample that a model is fitted on: rows, each with its whole text.
+SAMPLE_ROWS = 5000
 
 
 @dataclass
@@ -39,19 +40,31 @@ def gram_ids(raw: np.ndarray, low: np.ndarray) -> list[np.ndarray]:
     return out
 
 
-def fit(texts: list[str], y: np.ndarray, alpha: float = 1.0, least_gain: float = 12.0, l2: float = 0.5, rounds: int = 120) -> Model:
-    """Log-count ratios from all given texts; of the features, those whose presence is far from independent of the label; then a regularised logistic fit."""
-    low, size = lower_table(), 1 << BITS
-    docs = []
-    for t in texts:
-        raw = np.frombuffer(t.encode("utf-8", "replace"), np.uint8)
-        docs.append(np.unique(np.concatenate(gram_ids(raw, low))).astype(np.int32))
+def encode(raw: np.ndarray) -> bytes:
+    """The distinct n-grams of a text, as numbers or as bits, whichever is shorter: 2**BITS bits at most, however long the text."""
+    ids = np.unique(np.concatenate(gram_ids(raw, lower_table()))).astype(np.int32)
+    if 32 * len(ids) <= 1 << BITS:
+        return b"i" + ids.tobytes()
+    bits = np.zeros(1 << BITS, bool)
+    bits[ids] = True
+    return b"b" + np.packbits(bits).tobytes()
+
+
+def decode(data: bytes) -> np.ndarray:
+    if data[:1] == b"i":
+        return np.frombuffer(data, np.int32, offset=1)
+    return np.flatnonzero(np.unpackbits(np.frombuffer(data, np.uint8, offset=1))).astype(np.int32)
+
+
+def fit(texts: list[bytes], y: np.ndarray, alpha: float = 1.0, least_gain: float = 12.0, l2: float = 0.5, rounds: int = 120) -> Model:
+    """Log-count ratios from all given texts (as encoded); of the features, those whose presence is far from independent of the label; then a regularised logistic fit."""
+    size = 1 << BITS
     if len(y) == 0 or y.min() == y.max():
         p = (y.sum() + 0.5) / (len(y) + 1)
         return Model(np.zeros(size, np.float32), float(np.log(p / (1 - p))))
     pos, neg = np.zeros(size), np.zeros(size)
-    for d, t in zip(docs, y, strict=True):
-        (pos if t else neg)[d] += 1
+    for d, t in zip(texts, y, strict=True):
+        (pos if t else neg)[decode(d)] += 1
     ratio = np.log((pos + alpha) / (y.sum() + 2 * alpha)) - np.log((neg + alpha) / ((1 - y).sum() + 2 * alpha))
     n1, n0 = y.sum(), (1 - y).sum()
     both = pos + neg
@@ -60,7 +73,7 @@ def fit(texts: list[str], y: np.ndarray, alpha: float = 1.0, least_gain: float =
     used = np.flatnonzero(gain >= least_gain)
     slot = np.full(size, -1)
     slot[used] = np.arange(len(used))
-    rows = [slot[d][slot[d] >= 0] for d in docs]
+    rows = [(at := slot[decode(d)])[at >= 0] for d in texts]
     idx = np.concatenate(rows) if rows else np.zeros(0, np.int64)
     row = np.repeat(np.arange(len(rows)), [len(r) for r in rows])
     r = ratio[used]
@@ -78,19 +91,33 @@ def fit(texts: list[str], y: np.ndarray, alpha: float = 1.0, least_gain: float =
     return Model(weight, b)
 
 
-def sample(docs: DataFrame, labels: DataFrame, label: str, rows: int, chars: int) -> tuple[list[str], np.ndarray]:
-    """At most `rows` labelled texts outside the held-out fold, in the order of a hash; equal texts once."""
+def sample(docs: DataFrame, labels: DataFrame, label: str, rows: int, encode: Callable[[np.ndarray], bytes]) -> tuple[list[bytes], np.ndarray]:
+    """At most `rows` labelled texts outside the held-out fold, in the order of a hash, as encoded from the whole text; equal texts once.
+
+    Repeats are dropped by hashes of whole texts before the bound on rows. Executors encode, so that no text reaches the driver."""
+    text = F.coalesce("text", F.lit(""))
+    name = F.struct(F.xxhash64(text).alias("a"), F.xxhash64(F.lit(1), text).alias("b"), F.length(text).alias("n"))
     lab = labels.where(F.col(label).isNotNull() & (crc_mod4() != 2)).groupBy("doc_id").agg(F.max(label).alias("_y"))
-    chosen = lab.withColumn("_o", F.xxhash64("doc_id")).orderBy("_o", "doc_id").limit(rows)
+    named = docs.where(crc_mod4() != 2).select("doc_id", name.alias("_t")).join(lab, "doc_id")
+    one = named.groupBy("doc_id").agg(F.min("_t").alias("_t"), F.first("_y").alias("_y")).withColumn("_o", F.xxhash64("doc_id"))
+    first = one.groupBy("_t").agg(F.min(F.struct("_o", "doc_id", "_y")).alias("_f")).select("_f.*", "_t")
+    chosen = cut(first.orderBy("_o", "doc_id").limit(rows))
+    held = docs.select("doc_id", text.alias("text")).join(F.broadcast(chosen), "doc_id").where(F.col("_t") == name)  # at most `rows` ids, hashes and labels
+    keys = ["doc_id", "_y", "_o"]
+    schema = T.StructType([*held.select(*keys).schema.fields, T.StructField("_x", T.BinaryType())])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for part, raw, offs in chunks(batches):
+            x = pa.array([encode(raw[a:b]) for a, b in zip(offs[:-1], offs[1:], strict=True)], pa.binary())
+            yield pa.RecordBatch.from_arrays([*(part.column(part.schema.get_field_index(c)) for c in keys), x], [*keys, "_x"])
+
     got = (
-        docs.select("doc_id", F.substring(F.coalesce("text", F.lit("")), 1, chars).alias("_t"))
-        .join(F.broadcast(chosen), "doc_id")  # at most `rows` ids and labels
-        .groupBy("doc_id").agg(F.min("_t").alias("_t"), F.first("_y").alias("_y"), F.first("_o").alias("_o"))
+        held.select(*keys, "text").mapInArrow(run, schema)
+        .groupBy("doc_id").agg(F.min("_x").alias("_x"), F.first("_y").alias("_y"), F.first("_o").alias("_o"))
         .toPandas()
-        .sort_values(["_o", "_t"])
-        .drop_duplicates("_t")
+        .sort_values(["_o", "doc_id"])
     )
-    return list(got["_t"]), got["_y"].to_numpy(np.float64)
+    return [bytes(x) for x in got["_x"]], got["_y"].to_numpy(np.float64)
 
 
 def score_all(docs: DataFrame, model: Model, name: str = "score") -> DataFrame:
@@ -114,8 +141,8 @@ def score_all(docs: DataFrame, model: Model, name: str = "score") -> DataFrame:
     return docs.mapInArrow(run, schema)
 
 
-def fit_labelled(docs: DataFrame, labels: DataFrame, label: str = "toxic", rows: int = SAMPLE_ROWS, chars: int = SAMPLE_CHARS) -> Model:
-    return fit(*sample(docs, labels, label, rows, chars))
+def fit_labelled(docs: DataFrame, labels: DataFrame, label: str = "toxic", rows: int = SAMPLE_ROWS) -> Model:
+    return fit(*sample(docs, labels, label, rows, encode))
 
 
 def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
