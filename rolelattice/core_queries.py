@@ -353,32 +353,56 @@ def _filtered_scan(roles: dict[int, frozenset[int]], two: bool, efs: int) -> Cal
     return run
 
 
+def filtered_search(q: DataFrame, placed: DataFrame, g: DataFrame, roles: dict[int, frozenset[int]], two: bool, efs: int) -> DataFrame:
+    spread = q.join(F.broadcast(placed.select("unit_id", "shard").distinct()))
+    got = spread.groupBy("unit_id", "shard").cogroup(g.select(*[F.col(c).alias(c) for c in g.columns]).groupBy("unit_id", "shard")).applyInPandas(_filtered_scan(roles, two, efs), osr.HITS)
+    return osr.best(got, k=K)
+
+
+#: Beams of the grid; filtered variants of the global graph: name, through barred neighbours, links.
+BEAMS, FILTERED = (10, 50, 100, 300, 500, 1000), (("one_hop", True, 16), ("gamma", False, 48))
+
+
 @_q("e_efs_A")
 def efs_grid(s: SparkSession, d: str) -> DataFrame:
-    """method, efs, recall: graph search of each layout over a grid of beams."""
-    q, v, t, b = role_queries(s, d, "A", 50)
+    """method, efs, recall: graph search of each layout, and filtered search of one graph, over a grid of beams."""
+    q, v, t, b = role_queries(s, d, "A")
     truth, c = osr.exact(q, v, t, b).persist(), control(b, M, EFS)
     out = None
-    for method in ("sweep", "mined", "rolepart", "oracle"):
+    for method in ("sweep", "rescoring", "mined", "rolepart", "global", "oracle"):
         held, plan = tables(s, c, layout_of(c, method, 1.1, THRESHOLD["A"]))
         placed = place(v, t, b, held)
         g = graphs(placed).persist()
-        for efs in (10, 50, 100):
+        for efs in BEAMS:
             r = om.recall(osr.independent(q, plan, placed, c.roles, g, K, efs), truth).select(F.lit(method).alias("method"), F.lit(efs).alias("efs"), "recall")
             out = r if out is None else out.union(r)
+    held, _ = tables(s, c, baselines.global_index(c))
+    placed = place(v, t, b, held)
+    for name, two, m in FILTERED:
+        g = graphs(placed, m=m).persist()
+        for efs in BEAMS:
+            out = out.union(om.recall(filtered_search(q, placed, g, c.roles, two, efs), truth).select(F.lit(name).alias("method"), F.lit(efs).alias("efs"), "recall"))
     return out
 
 
+def outside(q: DataFrame, v: DataFrame, t: DataFrame) -> DataFrame:
+    """qid, x, roles, qclass: for each query a vector that its role may not read, by position among all such (a role that reads all has none)."""
+    role = q.select("roles", "qclass").distinct()
+    barred = v.select("vec_id").join(t.select("vec_id", F.col("roles").alias("held")), "vec_id", "left").crossJoin(F.broadcast(role)).where("held IS NULL OR NOT arrays_overlap(roles, held)")
+    w = Window.partitionBy("qclass")
+    barred = barred.select("qclass", "vec_id", (F.row_number().over(w.orderBy("vec_id")) - 1).alias("pos"), F.count("*").over(w).alias("n"))
+    return q.select("qid", "roles", "qclass").join(barred, "qclass").where((F.col("qid") * 104729 + 7) % F.col("n") == F.col("pos")).join(v, "vec_id").select("qid", F.col("embedding").alias("x"), "roles", "qclass")
+
+
 @_q("e_sensitivity_A")
 def sensitivity(s: SparkSession, d: str) -> DataFrame:
     """share, recall: query vectors drawn from what the role may read in that share, else from the rest."""
-    q, v, t, b = role_queries(s, d, "A", 60)
+    q, v, t, b = role_queries(s, d, "A")
     c = control(b, M, EFS)
     held, plan = tables(s, c, layout_of(c, "sweep", 1.1, THRESHOLD["A"]))
     placed = place(v, t, b, held)
     g = graphs(placed).persist()
-    n = v.agg(F.max("vec_id")).first()[0] + 1
-    other = q.select("qid", "roles", "qclass", ((F.col("qid") * 104729 + 7) % n).alias("vec_id")).join(t.select("vec_id", F.col("roles").alias("held")), "vec_id").where("not arrays_overlap(roles, held)").join(v, "vec_id").select("qid", F.col("embedding").alias("x"), "roles", "qclass")
+    other = outside(q, v, t)
     out = None
     for share in (0.0, 0.25, 0.5, 0.75, 1.0):
         inside = F.pmod(F.col("qid") * 7919, F.lit(100)) < int(share * 100)
@@ -396,13 +420,9 @@ def filtered_recall(s: SparkSession, d: str, p: str, efs: int = EFS) -> DataFram
     roles = c.roles
     held, _ = tables(s, c, baselines.global_index(c))
     placed = place(v, t, b, held)
-    spread = q.join(F.broadcast(placed.select("unit_id", "shard").distinct()))
     out = None
-    for name, two, m in (("one_hop", True, 16), ("gamma", False, 48)):
-        g = graphs(placed, m=m)
-
-        got = spread.groupBy("unit_id", "shard").cogroup(g.select(*[F.col(c).alias(c) for c in g.columns]).groupBy("unit_id", "shard")).applyInPandas(_filtered_scan(roles, two, efs), osr.HITS)
-        r = om.recall(osr.best(got, k=K), truth).withColumn("variant", F.lit(name))
+    for name, two, m in FILTERED:
+        r = om.recall(filtered_search(q, placed, graphs(placed, m=m), roles, two, efs), truth).withColumn("variant", F.lit(name))
         out = r if out is None else out.union(r)
     return out
 
