@@ -25,6 +25,8 @@ Q: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 SQL: dict[str, str] = {}
 #: The cost model of the tests; efs and k of all planned queries.
 M, EFS, K = CostModel(1.0, 0.01, 0.5, 0.0005, 0.05), 100, 10
+#: Beam of the build of all graphs that queries search; no less than the links of the densest.
+EFC = 200
 #: Index thresholds that fit the tables' sizes.
 THRESHOLD = {"A": 40, "B": 500, "C": 50, "D": 40, "E": 500}
 
@@ -289,7 +291,7 @@ def search_with(s: SparkSession, d: str, p: str, method: str = "sweep", budget:
     c = control(b, M, EFS)
     held, plan = tables(s, c, layout_of(c, method, budget, THRESHOLD[p]))
     placed = place(v, t, b, held)
-    g = graphs(placed) if hnsw else None
+    g = graphs(placed, efc=EFC) if hnsw else None
     if coordinated:
         return osr.coordinated(q, plan, placed, c.roles, g, K, EFS)
     return osr.independent(q, plan, placed, c.roles, g, K, EFS), None
@@ -360,7 +362,7 @@ def filtered_search(q: DataFrame, placed: DataFrame, g: DataFrame, roles: dict[i
 
 
 #: Beams of the grid; filtered variants of the global graph: name, through barred neighbours, links.
-BEAMS, FILTERED = (10, 50, 100, 300, 500, 1000), (("one_hop", True, 16), ("gamma", False, 48))
+BEAMS, FILTERED = (10, 50, 100, 300, 500, 1000), (("one_hop", True, 16), ("gamma", False, 12 * 16))
 
 
 @_q("e_efs_A")
@@ -372,14 +374,14 @@ def efs_grid(s: SparkSession, d: str) -> DataFrame:
     for method in ("sweep", "rescoring", "mined", "rolepart", "global", "oracle"):
         held, plan = tables(s, c, layout_of(c, method, 1.1, THRESHOLD["A"]))
         placed = place(v, t, b, held)
-        g = graphs(placed).persist()
+        g = graphs(placed, efc=EFC).persist()
         for efs in BEAMS:
             r = om.recall(osr.independent(q, plan, placed, c.roles, g, K, efs), truth).select(F.lit(method).alias("method"), F.lit(efs).alias("efs"), "recall")
             out = r if out is None else out.union(r)
     held, _ = tables(s, c, baselines.global_index(c))
     placed = place(v, t, b, held)
     for name, two, m in FILTERED:
-        g = graphs(placed, m=m).persist()
+        g = graphs(placed, m=m, efc=EFC).persist()
         for efs in BEAMS:
             out = out.union(om.recall(filtered_search(q, placed, g, c.roles, two, efs), truth).select(F.lit(name).alias("method"), F.lit(efs).alias("efs"), "recall"))
     return out
@@ -401,7 +403,7 @@ def sensitivity(s: SparkSession, d: str) -> DataFrame:
     c = control(b, M, EFS)
     held, plan = tables(s, c, layout_of(c, "sweep", 1.1, THRESHOLD["A"]))
     placed = place(v, t, b, held)
-    g = graphs(placed).persist()
+    g = graphs(placed, efc=EFC).persist()
     other = outside(q, v, t)
     out = None
     for share in (0.0, 0.25, 0.5, 0.75, 1.0):
@@ -422,7 +424,7 @@ def filtered_recall(s: SparkSession, d: str, p: str, efs: int = EFS) -> DataFram
     placed = place(v, t, b, held)
     out = None
     for name, two, m in FILTERED:
-        r = om.recall(filtered_search(q, placed, graphs(placed, m=m), roles, two, efs), truth).withColumn("variant", F.lit(name))
+        r = om.recall(filtered_search(q, placed, graphs(placed, m=m, efc=EFC), roles, two, efs), truth).withColumn("variant", F.lit(name))
         out = r if out is None else out.union(r)
     return out
 

@@ -18,3 +18,13 @@ def test_every_query_keeps_a_vector_outside_its_role(spark):
 def test_all_beams_and_methods(spark):
     got = {(r.method, r.efs) for r in cq.efs_grid(spark, SF).select("method", "efs").collect()}
     assert got == {(m, e) for m in ("sweep", "rescoring", "mined", "rolepart", "global", "oracle", "one_hop", "gamma") for e in (10, 50, 100, 300, 500, 1000)}
+
+
+def test_registered_graphs_are_built_in_full(spark, monkeypatch):
+    made = []
+    real = cq.graphs
+    monkeypatch.setattr(cq, "graphs", lambda placed, m=16, efc=64, seed=1: made.append((m, efc)) or real(placed, m, efc, seed))
+    got = cq.filtered_recall(spark, SF, "A")
+    cq.search_with(spark, SF, "A", hnsw=True)
+    assert made == [(16, 200), (192, 200), (16, 200)]
+    assert {r.variant for r in got.select("variant").collect()} == {"one_hop", "gamma"}
