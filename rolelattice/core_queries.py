@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from collections import Counter
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -182,7 +183,12 @@ _q("b_oracle_A", _with("A") + f"SELECT role_id, count(*) AS n, round({_beam('cou
 _q("b_filtered_routing_E", _with("E") + "SELECT role_id, count(*) < (SELECT sum(n) FROM blocks) / 12.0 AS scan FROM grants GROUP BY role_id")(lambda s, d: ob.selectivity(blocks_of(s, d, "E")).select("role_id", (F.col("share") < 1 / 12).alias("scan")))
 
 
-def layout_of(c: Control, method: str, budget: float, threshold: int, history: list | None = None) -> Layout:
+def past_of(s: SparkSession, d: str, p: str) -> Counter:
+    """How often each role asked in the held-out history, a row for each role."""
+    return Counter({frozenset((r.role_id,)): r.past for r in sw.history(s, d, list(sp.ROLES[p])).collect() if r.role_id is not None and r.past})
+
+
+def layout_of(c: Control, method: str, budget: float, threshold: int, history: Counter | None = None) -> Layout:
     if method == "sweep":
         return sweep.run(c, budget, threshold)
     if method == "rescoring":
@@ -220,11 +226,12 @@ def sweep_budgets(s: SparkSession, d: str, p: str, methods: tuple[str, ...], bet
 
     c = control(blocks_of(s, d, p), M, EFS)
     base = average_cost(c, baselines.oracle(c))
+    past = past_of(s, d, p) if "mined" in methods else None
     rows = []
     for method in methods:
         for b in betas:
             t = time.perf_counter()
-            layout = layout_of(c, method, b, THRESHOLD[p])
+            layout = layout_of(c, method, b, THRESHOLD[p], past)
             took = time.perf_counter() - t
             assert cover.covers(c, layout)
             rows.append((method, float(b), took, *[round(float(v), 6) for v in measures(c, layout, base).values()]))
@@ -289,7 +296,7 @@ def role_queries(s: SparkSession, d: str, p: str, n: int = _N) -> tuple[DataFram
 def search_with(s: SparkSession, d: str, p: str, method: str = "sweep", budget: float = 1.1, coordinated: bool = False, hnsw: bool = False) -> tuple[DataFrame, DataFrame | None]:
     q, v, t, b = role_queries(s, d, p)
     c = control(b, M, EFS)
-    held, plan = tables(s, c, layout_of(c, method, budget, THRESHOLD[p]))
+    held, plan = tables(s, c, layout_of(c, method, budget, THRESHOLD[p], past_of(s, d, p) if method == "mined" else None))
     placed = place(v, t, b, held)
     g = graphs(placed, efc=EFC) if hnsw else None
     if coordinated:
@@ -372,7 +379,7 @@ def efs_grid(s: SparkSession, d: str) -> DataFrame:
     truth, c = osr.exact(q, v, t, b).persist(), control(b, M, EFS)
     out = None
     for method in ("sweep", "rescoring", "mined", "rolepart", "global", "oracle"):
-        held, plan = tables(s, c, layout_of(c, method, 1.1, THRESHOLD["A"]))
+        held, plan = tables(s, c, layout_of(c, method, 1.1, THRESHOLD["A"], past_of(s, d, "A") if method == "mined" else None))
         placed = place(v, t, b, held)
         g = graphs(placed, efc=EFC).persist()
         for efs in BEAMS:

@@ -29,12 +29,12 @@ def from_groups(c: Control, groups: Iterable[Iterable[int]]) -> Layout:
     return plan_all(c, {i: Unit(frozenset(g)) for i, g in enumerate(groups)})
 
 
-def mined(c: Control, history: Iterable[Iterable[int]], budget: float, brute_bound: float = 1 / 12) -> Layout:
+def mined(c: Control, history: Iterable[Iterable[int]] | Counter, budget: float, brute_bound: float = 1 / 12) -> Layout:
     """Sub-indices for the role sets of past queries, by saved cost and frequency for each stored vector.
 
     The global index counts as one; a sub-index is admitted while what was stored before it is within the budget, so the last
     one may overshoot. A class reads the smallest admitted superset; very selective ones are scanned."""
-    counts = Counter(frozenset(h) for h in history)
+    counts = history if isinstance(history, Counter) else Counter(frozenset(h) for h in history)
     every = frozenset(c.roles)
     units = {0: Unit(every)}
     stored = c.total

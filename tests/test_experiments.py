@@ -28,3 +28,12 @@ def test_registered_graphs_are_built_in_full(spark, monkeypatch):
     cq.search_with(spark, SF, "A", hnsw=True)
     assert made == [(16, 200), (192, 200), (16, 200)]
     assert {r.variant for r in got.select("variant").collect()} == {"one_hop", "gamma"}
+
+
+def test_mined_gets_the_history(spark, monkeypatch):
+    seen = []
+    real = cq.baselines.mined
+    monkeypatch.setattr(cq.baselines, "mined", lambda c, history, budget: seen.append(history) or real(c, history, budget))
+    cq.search_with(spark, SF, "A", "mined")
+    past = {frozenset((r.role_id,)): r.past for r in cq.Q["w_history_A"](spark, SF).collect() if r.past}
+    assert [dict(h) for h in seen] == [past] and len(set(past.values())) > 1
