@@ -25,12 +25,21 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 def cut(df: DataFrame, eager: bool = True) -> DataFrame:
     """Write df to the shared checkpoint folder and go on from the files, so that a lost executor costs no recomputation."""
-    sc = df.sparkSession.sparkContext
-    if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(df.sparkSession.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="checkpoints-"))
+    shared_folder(df.sparkSession)
     return df.checkpoint(eager)
 
 
+def shared_folder(spark: SparkSession) -> str:
+    """The folder for what must outlive an executor: that of the session, or one of this machine where all of Spark runs in one process."""
+    sc = spark.sparkContext
+    if sc.getCheckpointDir() is None:
+        given = spark.conf.get("spark.checkpoint.dir", None)
+        if given is None and not sc._jsc.sc().isLocal():
+            raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
+        sc.setCheckpointDir(given or tempfile.mkdtemp(prefix="checkpoints-"))
+    return sc.getCheckpointDir()
+
+
 def crc_mod4() -> F.Column:
     """crc32 of doc_id as text, modulo 4; a null doc_id counts as the empty text."""
     return F.pmod(F.crc32(F.coalesce(F.col("doc_id").cast("string"), F.lit("")).cast("binary")), F.lit(4))
@@ -38,10 +47,7 @@ def crc_mod4() -> F.Column:
 
 def stored(df: DataFrame) -> DataFrame:
     """df written once as compressed Parquet beside the checkpoints, and read from there; it lasts as long as that folder."""
-    sc = df.sparkSession.sparkContext
-    if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(df.sparkSession.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="checkpoints-"))
-    path = f"{sc.getCheckpointDir()}/stored-{uuid.uuid4().hex}"
+    path = f"{shared_folder(df.sparkSession)}/stored-{uuid.uuid4().hex}"
     df.write.option("compression", "zstd").parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
