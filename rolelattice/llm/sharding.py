@@ -1,9 +1,10 @@
-"""Sharding by a hierarchical weighted hash tree: regions, racks and shards, each key going where its weighted draw is best.
+"""Sharding by a hierarchical weighted hash tree: a key descends from the root to a region, a rack and a shard.
 
-A leaf's draw for a key is -ln(u) / weight with u from a hash of (key, leaf). A rack's draw is the least of its shards'
-and a region's the least of its racks', which is distributed as a draw of the summed weight. Descending by least draw
-therefore fills every subtree in proportion to its weight, and a changed leaf changes the draws of its own ancestors
-only: keys move into a grown subtree or out of a shrunk one and nowhere else, at every level.
+At each level every child draws -ln(u) / weight, u from a hash of (key, level, child) and the weight the sum of the shards below;
+the least draw wins. Children are thus chosen in proportion to their weights, at a cost of one hash for each child on the way
+instead of one for each shard. A draw depends on its own child alone: where weights change in one subtree, keys move
+into it or out of it and inside it, and between other subtrees nothing moves. A shard beyond the regular tree is a region
+of its own, so it takes keys into itself alone.
 """
 
 from __future__ import annotations
@@ -24,28 +25,51 @@ class Leaf:
     weight: float = 1.0
 
 
-def tree(shards: int, racks_of: int = 4, regions_of: int = 3) -> list[Leaf]:
-    """Shards 0..n-1, four to a rack and three racks to a region; a further shard joins the last place or opens one."""
-    return [Leaf(s // (racks_of * regions_of), s // racks_of, s) for s in range(shards)]
+def tree(shards: int, base: int = 24, racks_of: int = 4, regions_of: int = 3) -> list[Leaf]:
+    """Of shards 0..n-1 the first `base` four to a rack and three racks to a region; each further one in a region of its own."""
+    regular = [Leaf(s // (racks_of * regions_of), s // racks_of, s) for s in range(min(shards, base))]
+    return regular + [Leaf(base + s, base + s, s) for s in range(base, shards)]
 
 
-def draws(key: Column, leaves: list[Leaf]) -> Column:
-    """An array of (draw, region, rack, shard), one for each leaf; 53 bits of a hash make u in (0, 1)."""
-    given = F.array(*[F.struct(F.lit(x.region).alias("region"), F.lit(x.rack).alias("rack"), F.lit(x.shard).alias("shard"), F.lit(float(x.weight)).alias("weight")) for x in leaves])
-    u = lambda x: (F.shiftrightunsigned(F.xxhash64(key, x["shard"]), 11).cast("double") + 0.5) / F.lit(float(1 << 53))
-    return F.transform(given, lambda x: F.struct((-F.ln(u(x)) / x["weight"]).alias("d"), x["region"].alias("region"), x["rack"].alias("rack"), x["shard"].alias("shard")))
+def nested(leaves: list[Leaf]) -> Column:
+    """Regions as structs (id, weight, below) whose racks, and the racks' shards, are given likewise."""
 
+    def node(i: int, own: list[Leaf], below: list[Column] | None) -> Column:
+        fields = [F.lit(i).alias("id"), F.lit(float(sum(x.weight for x in own))).alias("weight")]
+        return F.struct(*fields, *([F.array(*below).alias("below")] if below is not None else []))
 
-def descend(key: Column, leaves: list[Leaf]) -> Column:
-    """The shard of a key. The region with the least draw holds the leaf with the least draw, and so does that rack within it,
-    so one minimum over (draw, region, rack, shard) makes all steps of the descent at once (ties: smaller numbers)."""
-    return F.array_min(draws(key, leaves))["shard"]
+    def level(own: list[Leaf], keys: tuple[str, ...]) -> list[Column]:
+        if not keys:
+            return []
+        groups: dict[int, list[Leaf]] = {}
+        for x in own:
+            groups.setdefault(getattr(x, keys[0]), []).append(x)
+        return [node(i, g, level(g, keys[1:]) if len(keys) > 1 else None) for i, g in sorted(groups.items())]
+
+    return F.array(*level(leaves, ("region", "rack", "shard")))
+
+
+def chosen(key: Column, level: int, children: Column) -> Column:
+    """Of an array of children the one with the least draw (ties: the first); 53 bits of a hash make u in (0, 1)."""
+    u = lambda x: (F.shiftrightunsigned(F.xxhash64(key, F.lit(level), x["id"]), 11).cast("double") + 0.5) / F.lit(float(1 << 53))
+    draws = F.transform(children, lambda x: -F.ln(u(x)) / x["weight"])
+    return F.element_at(children, F.array_position(draws, F.array_min(draws)).cast("int"))
+
+
+def descend(docs: DataFrame, key: Column, leaves: list[Leaf], name: str = "shard") -> DataFrame:
+    """docs with the shard of each key; a step of the descent is a projection of its own, so that each draw is made once."""
+    step = lambda df, level, children: df.withColumn("_at", chosen(F.col("_key"), level, children))
+    out = docs.withColumn("_key", key).withColumn("_tree", nested(leaves))
+    out = step(out, 0, F.col("_tree"))
+    for level in (1, 2):
+        out = step(out, level, F.col("_at")["below"])
+    return out.withColumn(name, F.col("_at")["id"]).drop("_key", "_tree", "_at")
 
 
 def assign(docs: DataFrame, key: Column, leaves: list[Leaf], grown: list[Leaf] | None = None) -> DataFrame:
     """docs with shard (and grown_shard, under the tree `grown`)."""
-    out = docs.withColumn("shard", descend(key, leaves))
-    return out if grown is None else out.withColumn("grown_shard", descend(key, grown))
+    out = descend(docs, key, leaves)
+    return out if grown is None else descend(out, key, grown, "grown_shard")
 
 
 def op3_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
