@@ -1,8 +1,9 @@
 """Benchmark decontamination by suffix arrays over the training text.
 
 Each batch of documents is a shard with its own suffix array over word numbers. Words that no benchmark item has end
-every match, so only runs of known words that are as long as the shortest window enter the array. The windows of
-all benchmark suffixes are found in each shard by binary search; the ranges give every occurrence and its place.
+every match, so only runs of known words that are as long as the shortest window enter the array. Every benchmark suffix
+is looked up in each shard by binary search with its first WINDOW words; the ranges give all occurrences and their places, and
+occurrences of successive suffixes at successive places are one longer match.
 """
 
 from __future__ import annotations
@@ -20,8 +21,8 @@ from .common import chunks, lower_table, table, utf8, word_hashes
 from .suffixes import bounds, refine
 
 WINDOW = 13
-#: Benchmark words that are matched in one block; a larger benchmark takes further blocks.
-BLOCK_WORDS = 4_000_000
+#: Benchmark words that are matched in one block, about 60 bytes a word; a larger benchmark takes further blocks, up to MOST_BLOCKS.
+BLOCK_WORDS, MOST_BLOCKS = 1_000_000, 16
 
 
 def kinds() -> np.ndarray:
@@ -33,36 +34,36 @@ def kinds() -> np.ndarray:
 
 
 def index_items(ids: list[str], texts: pa.Array) -> dict:
-    """A block of the benchmark as arrays: its words' hashes, and its windows as rows of word numbers with their items."""
+    """A block of the benchmark as arrays: its words' hashes; its windows as rows of word numbers; where each window is (item, word)."""
     raw, offs = utf8(texts)
     h, first, _, _ = word_hashes(raw, offs, kinds(), lower_table())
     vocab, number = np.unique(h, return_inverse=True)
-    rows, lens, items = [], [], []
-    for i in range(len(ids)):
-        w = number[first[i] : first[i + 1]]
-        if len(w) == 0:
-            continue
-        k = min(WINDOW, len(w))
-        for s in range(len(w) - k + 1):
-            row = np.full(WINDOW, -1, np.int64)
-            row[:k] = w[s : s + k]
-            rows.append(row)
-            lens.append(k)
-            items.append(i)
-    windows = np.array(rows, np.int64).reshape(-1, WINDOW)
-    lens, items = np.array(lens, np.int64), np.array(items, np.int64)
-    keys, which = np.unique(np.column_stack([lens, windows]), axis=0, return_inverse=True) if len(lens) else (np.zeros((0, WINDOW + 1), np.int64), np.zeros(0, np.int64))
-    which = which.reshape(-1)
-    order = np.argsort(which, kind="stable")
-    return {"vocab": vocab, "windows": keys[:, 1:], "lens": keys[:, 0], "item_ids": ids, "items": items[order], "items_at": np.searchsorted(which[order], np.arange(len(keys) + 1))}
-
-
-def match(raw: np.ndarray, offs: np.ndarray, blocks: list[dict]) -> tuple[np.ndarray, np.ndarray, list[set]]:
-    """Per row: words, hit words, items that occur."""
+    size = np.diff(first)
+    wide = np.minimum(size, WINDOW)
+    count = np.where(size > 0, size - wide + 1, 0)
+    item = np.repeat(np.arange(len(ids)), count)
+    word = np.arange(count.sum()) - np.repeat(np.cumsum(count) - count, count)
+    lens = wide[item]
+    inside = np.arange(WINDOW) < lens[:, None]
+    at = (first[:-1][item] + word)[:, None] + np.arange(WINDOW)
+    windows = np.where(inside, number[np.minimum(at, len(number) - 1)] if len(number) else 0, -1).astype(np.int32).reshape(-1, WINDOW)
+    keys, which = np.unique(np.column_stack([lens, windows]).astype(np.int32), axis=0, return_inverse=True) if len(lens) else (np.zeros((0, WINDOW + 1), np.int32), np.zeros(0, np.int64))
+    order = np.argsort(which.reshape(-1), kind="stable")
+    return {"vocab": vocab, "windows": keys[:, 1:], "lens": keys[:, 0].astype(np.int64), "item_ids": ids, "items": item[order], "words": word[order], "at": np.searchsorted(which.reshape(-1)[order], np.arange(len(keys) + 1))}
+
+
+def spread(first: np.ndarray, count: np.ndarray) -> np.ndarray:
+    """first[i], first[i] + 1, ..., count[i] of them, for all i one after the other."""
+    return np.arange(count.sum()) + np.repeat(first - (np.cumsum(count) - count), count)
+
+
+def match(raw: np.ndarray, offs: np.ndarray, blocks: list[dict], places: bool = False) -> tuple[np.ndarray, np.ndarray, list[set], list[list]]:
+    """Per row: words, hit words, items that occur, and (with places) matches (item, its word, the row's word, words), as long as they go."""
     h, first, _, _ = word_hashes(raw, offs, kinds(), lower_table())
     rows = len(offs) - 1
     cover = np.zeros(len(h) + 1, np.int64)
     found: list[set] = [set() for _ in range(rows)]
+    matches: list[list] = [[] for _ in range(rows)]
     for b in blocks:
         if not len(b["lens"]):
             continue
@@ -87,15 +88,31 @@ def match(raw: np.ndarray, offs: np.ndarray, blocks: list[dict]) -> tuple[np.nda
         seq = np.where(last, -1, at[np.minimum(word, len(h) - 1)])
         order = refine(seq, 1, WINDOW)
         low, high = bounds(seq, order, b["windows"], b["lens"])
-        for w in np.flatnonzero(high > low):
-            p = word[order[low[w] : high[w]]]
-            np.add.at(cover, p, 1)
-            np.add.at(cover, p + b["lens"][w], -1)
-            items = [b["item_ids"][i] for i in b["items"][b["items_at"][w] : b["items_at"][w + 1]]]
-            for d in np.unique(np.searchsorted(first, p, "right") - 1):
-                found[d].update(items)
+        p = word[order[spread(low, high - low)]]
+        w = np.repeat(np.arange(len(low)), high - low)
+        np.add.at(cover, p, 1)
+        np.add.at(cover, p + b["lens"][w], -1)
+        doc = np.searchsorted(first, p, "right") - 1
+        pair = np.unique(doc * len(low) + w)
+        per = b["at"][pair % len(low) + 1] - b["at"][pair % len(low)]
+        item = b["items"][spread(b["at"][pair % len(low)], per)]
+        for x in np.unique(np.repeat(pair // len(low), per) * len(b["item_ids"]) + item).tolist():
+            found[x // len(b["item_ids"])].add(b["item_ids"][x % len(b["item_ids"])])
+        if places and len(p):
+            per = b["at"][w + 1] - b["at"][w]
+            entry = spread(b["at"][w], per)
+            p, doc, w = np.repeat(p, per), np.repeat(doc, per), np.repeat(w, per)
+            item, own = b["items"][entry], b["words"][entry]
+            turn = np.lexsort((p, p - own, item, doc))
+            p, doc, w, item, own = p[turn], doc[turn], w[turn], item[turn], own[turn]
+            new = np.append(True, (doc[1:] != doc[:-1]) | (item[1:] != item[:-1]) | (p[1:] - own[1:] != p[:-1] - own[:-1]) | (p[1:] != p[:-1] + 1))
+            begin = np.flatnonzero(new)
+            end = np.append(begin[1:], len(p)) - 1
+            long = p[end] - p[begin] + b["lens"][w[end]]
+            for d, i, o, at_, n in zip(doc[begin].tolist(), item[begin].tolist(), own[begin].tolist(), (p[begin] - first[doc[begin]]).tolist(), long.tolist(), strict=True):
+                matches[d].append((b["item_ids"][i], o, at_, n))
     hit = np.concatenate([[0], np.cumsum(np.cumsum(cover[:-1]) > 0)])
-    return np.diff(first), hit[first[1:]] - hit[first[:-1]], found
+    return np.diff(first), hit[first[1:]] - hit[first[:-1]], found, matches
 
 
 def longest_match(raw: np.ndarray, offs: np.ndarray, query: str) -> tuple[int, list[tuple[int, int]]]:
@@ -126,15 +143,19 @@ def longest_match(raw: np.ndarray, offs: np.ndarray, query: str) -> tuple[int, l
 
 
 OUT = (("n_words", "bigint"), ("n_hit", "bigint"), ("n_items", "bigint"), ("items_sha256", "string"), ("contaminated", "boolean"))
+PLACES = ("matches", "array<struct<item_id:string,item_word:bigint,doc_word:bigint,words:bigint>>")
 
 
-def blocks_of(benchmark: DataFrame, block_words: int = BLOCK_WORDS) -> list:
-    """The benchmark in broadcast blocks of a bounded number of characters; workers load one after the other."""
+def blocks_of(benchmark: DataFrame, block_words: int | None = None) -> list:
+    """The benchmark in broadcast blocks of a bounded number of words; more than MOST_BLOCKS of them are refused, since workers hold them all."""
+    most = block_words or BLOCK_WORDS
     spark, out, ids, texts, size = benchmark.sparkSession, [], [], [], 0
 
     def flush() -> None:
         nonlocal ids, texts, size
         if ids:
+            if len(out) == MOST_BLOCKS:
+                raise ValueError(f"a benchmark of more than {MOST_BLOCKS * most} words: mark the documents by parts of it")
             out.append(spark.sparkContext.broadcast(index_items(ids, pa.array(texts, pa.string()))))
         ids, texts, size = [], [], 0
 
@@ -142,22 +163,25 @@ def blocks_of(benchmark: DataFrame, block_words: int = BLOCK_WORDS) -> list:
         ids.append(r.i)
         texts.append(r.t)
         size += len(r.t) // 6 + 1
-        if size >= block_words:
+        if size >= most:
             flush()
     flush()
     return out
 
 
-def mark(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
-    """docs with the columns of OUT."""
-    taken = {n for n, _ in OUT}
+def mark(docs: DataFrame, benchmark: DataFrame, places: bool = False) -> DataFrame:
+    """docs with the columns of OUT, and with places also `matches`: every longest verbatim match of WINDOW words or of a whole shorter
+    item, as (item_id, word in the item, word in the document, words)."""
+    new_columns = [*OUT, PLACES] if places else list(OUT)
+    taken = {n for n, _ in new_columns}
     docs = docs.drop(*[c for c in docs.columns if c.lower() in taken])
-    schema = T.StructType([*docs.schema.fields, *[T.StructField(n, T._parse_datatype_string(t)) for n, t in OUT]])
+    schema = T.StructType([*docs.schema.fields, *[T.StructField(n, T._parse_datatype_string(t)) for n, t in new_columns]])
     shared = blocks_of(benchmark)
+    kind = pa.list_(pa.struct([("item_id", pa.string()), *[(n, pa.int64()) for n in ("item_word", "doc_word", "words")]]))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for rows, raw, offs in chunks(batches, limit=4 << 20):
-            words, hit, found = match(raw, offs, [b.value for b in shared])
+            words, hit, found, where = match(raw, offs, [b.value for b in shared], places)
             new = [
                 pa.array(words, pa.int64()),
                 pa.array(hit, pa.int64()),
@@ -165,12 +189,17 @@ def mark(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
                 pa.array([hashlib.sha256(",".join(sorted(f)).encode()).hexdigest() for f in found]),
                 pa.array((hit > 0) & (20 * hit >= words)),
             ]
-            yield pa.RecordBatch.from_arrays([*rows.columns, *new], [*rows.schema.names, *[n for n, _ in OUT]])
+            if places:
+                new.append(pa.array([[dict(zip(("item_id", "item_word", "doc_word", "words"), m, strict=True)) for m in ms] for ms in where], kind))
+            yield pa.RecordBatch.from_arrays([*rows.columns, *new], [*rows.schema.names, *[n for n, _ in new_columns]])
 
     return docs.mapInArrow(run, schema)
 
 
 def op7_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Null and empty texts have no words and are not contaminated; repeated rows are judged alike; an empty benchmark contaminates nothing."""
-    marked = mark(table(spark, sf_dir, "documents").select("doc_id", "text"), table(spark, sf_dir, "benchmark"))
-    return marked.select("doc_id", *[n for n, _ in OUT])
+    """Null and empty texts have no words and are not contaminated; repeated rows are judged alike; an empty benchmark contaminates nothing.
+
+    n_matches and longest_match follow from the matches and their places, which `mark` returns."""
+    marked = mark(table(spark, sf_dir, "documents").select("doc_id", "text"), table(spark, sf_dir, "benchmark"), places=True)
+    longest = F.coalesce(F.array_max(F.transform("matches", lambda m: m["words"])), F.lit(0).cast("long"))
+    return marked.select("doc_id", *[n for n, _ in OUT], F.size("matches").cast("long").alias("n_matches"), longest.alias("longest_match"))

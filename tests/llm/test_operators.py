@@ -97,12 +97,54 @@ def test_sharding(spark, sf):
     assert sorted((r["size"], r["text_crc32"]) for r in got) == sorted((len((t or "").encode()) + 8, zlib.crc32((t or "").encode())) for _, t in TEXTS)
 
 
-def test_hash_tree_moves_keys_only_into_what_grew(spark):
-    from rolelattice.llm.sharding import Leaf, assign, tree
+def placed(spark, leaves, grown):
+    from rolelattice.llm.sharding import assign
 
-    grown = [Leaf(x.region, x.rack, x.shard, 2.0 if x.shard == 5 else 1.0) for x in tree(24)]
-    rows = assign(spark.range(4000).withColumn("k", F.col("id").cast("string")), F.col("k"), tree(24), grown).collect()
-    assert {r["grown_shard"] for r in rows if r["shard"] != r["grown_shard"]} == {5}
+    return assign(spark.range(12000).withColumn("k", F.col("id").cast("string")), F.col("k"), leaves, grown).collect()
+
+
+def reweighted(change):
+    from rolelattice.llm.sharding import Leaf, tree
+
+    return [Leaf(x.region, x.rack, x.shard, change(x)) for x in tree(24)]
+
+
+def test_hash_tree_fills_by_weight(spark):
+    heavy = reweighted(lambda x: 3.0 if x.region == 1 else 1.0)
+    rows = placed(spark, heavy, heavy)
+    share = sum(r["shard"] >= 12 for r in rows) / len(rows)
+    assert abs(share - 0.75) < 0.02
+    for s in range(24):
+        assert abs(sum(r["shard"] == s for r in rows) / len(rows) - (3 if s >= 12 else 1) / 48) < 0.01
+
+
+def test_hash_tree_confines_movement(spark):
+    from rolelattice.llm.sharding import tree
+
+    base = tree(24)
+    # a shard grows: keys move into its region, within it into its rack, within that into the shard itself, and nowhere else
+    rows = [r for r in placed(spark, base, reweighted(lambda x: 2.0 if x.shard == 5 else 1.0)) if r["shard"] != r["grown_shard"]]
+    assert rows and all(r["grown_shard"] < 12 for r in rows)
+    assert all(r["grown_shard"] // 4 == 1 for r in rows if r["shard"] < 12)
+    assert all(r["grown_shard"] == 5 for r in rows if r["shard"] // 4 == 1)
+    # weight moves between two racks of a region: the regions' weights stay, and so do the keys of all else
+    shift = reweighted(lambda x: 2.0 if x.rack == 0 else 0.5 if x.rack in (1, 2) else 1.0)
+    rows = [r for r in placed(spark, base, shift) if r["shard"] != r["grown_shard"]]
+    assert rows and all(r["shard"] < 12 and r["grown_shard"] < 4 for r in rows)
+    # one more shard takes keys into itself alone, however many there are already
+    for n in (24, 25, 26):
+        rows = [r for r in placed(spark, tree(n), tree(n + 1)) if r["shard"] != r["grown_shard"]]
+        assert {r["grown_shard"] for r in rows} == {n}
+        assert abs(len(rows) / 12000 - 1 / (n + 1)) < 0.01
+
+
+def test_region_and_rack_decide(spark):
+    """The same shards hung otherwise give other places: levels are part of the draw."""
+    from rolelattice.llm.sharding import Leaf, tree
+
+    flat = [Leaf(0, 0, x.shard) for x in tree(24)]
+    rows = placed(spark, tree(24), flat)
+    assert sum(r["shard"] != r["grown_shard"] for r in rows) > 6000
 
 
 def links(texts):
@@ -193,7 +235,39 @@ def test_decontamination_in_several_blocks(spark, sf):
     blocks = [b.value for b in decontamination.blocks_of(spark.read.parquet(f"{sf}/benchmark.parquet"), block_words=5)]
     text = np.frombuffer((ITEM + " x").encode(), np.uint8)
     assert len(blocks) > 1
-    assert [x.tolist() if hasattr(x, "tolist") else [sorted(f) for f in x] for x in decontamination.match(text, np.array([0, len(text)]), blocks)] == [[21], [20], [["1", "5"]]]
+    words, hit, found, where = decontamination.match(text, np.array([0, len(text)]), blocks, True)
+    assert (words.tolist(), hit.tolist(), [sorted(f) for f in found]) == ([21], [20], [["1", "5"]])
+    assert sorted(where[0]) == [("1", 0, 0, 20), ("5", 0, 0, 20)]
+
+
+def longest_matches(words, item):
+    """All maximal verbatim matches of 13 words or of a whole shorter item, by brute force."""
+    least, out = min(13, len(item)), set()
+    for i in range(len(words)):
+        for j in range(len(item)):
+            if i and j and words[i - 1] == item[j - 1]:
+                continue
+            n = 0
+            while i + n < len(words) and j + n < len(item) and words[i + n] == item[j + n]:
+                n += 1
+            if n >= max(1, least):
+                out.add((j, i, n))
+    return out
+
+
+def test_longest_matches_and_their_places(spark, tmp_path):
+    r = np.random.default_rng(8)
+    vocab = [f"v{i}" for i in range(9)]
+    items = [list(r.choice(vocab[:3], n)) for n in (40, 5, 13, 26)] + [["v0"] * 30]
+    docs = []
+    for k in range(40):
+        parts = [list(r.choice(vocab, 6)), items[k % 5][k % 4 : 8 + k], list(r.choice(vocab, 4)), items[(k + 2) % 5]]
+        docs.append([w for x in parts for w in x])
+    rows = spark.createDataFrame([(i, " ".join(w)) for i, w in enumerate(docs)], "doc_id bigint, text string").repartition(3)
+    bench = spark.createDataFrame([(i, " ".join(w)) for i, w in enumerate(items)], "item_id bigint, text string")
+    for row in decontamination.mark(rows, bench, places=True).collect():
+        want = {(str(k), *m) for k, item in enumerate(items) for m in longest_matches(docs[row.doc_id], item)}
+        assert {tuple(m) for m in row.matches} == want and len(row.matches) == len(want)
 
 
 def test_pages(spark, sf):
