@@ -1,9 +1,9 @@
-"""Secret scan: one minimal deterministic automaton for all rules, run over all bytes in a single pass.
+"""Secret scan: the regular expressions of all rules in one minimal deterministic automaton, run over all bytes in a single pass.
 
-Each rule is a small syntax tree over byte sets. Thompson automata of "any prefix, then the head of a rule" are joined,
-made deterministic by subset construction and minimised by partition refinement. An accepting state says which rules'
-heads end at this byte. A head is the shortest text that settles a match; its start follows from the bytes before and
-its end from the run of the rule's tail bytes, so that results are those of leftmost greedy matching per rule.
+Each rule's expression is parsed into a syntax tree over byte sets. Thompson automata of "any prefix, then a rule" are joined,
+made deterministic by subset construction and minimised by partition refinement into transition arrays. An accepting state says
+which rules have a match that ends at this byte. Where one first does, the rule's reversed automaton, run backwards, gives the
+leftmost start, and its own automaton, run on from there, the longest end: non-overlapping leftmost matches per rule.
 """
 
 from __future__ import annotations
@@ -11,6 +11,7 @@ from __future__ import annotations
 import hashlib
 from collections.abc import Iterator
 from dataclasses import dataclass
+from functools import cache
 
 import numpy as np
 import pyarrow as pa
@@ -21,56 +22,134 @@ from pyspark.sql import types as T
 from .common import chunks, table
 
 
-def any_of(chars: str, fold: bool = False) -> tuple:
-    s = set(chars.encode("latin1"))
-    if fold:
-        s |= {c ^ 32 for c in s if chr(c).isalpha()}
-    return ("set", frozenset(s))
-
-
-def text(word: str, fold: bool = False) -> tuple:
-    return ("cat", *[any_of(c, fold) for c in word])
-
-
-DIGITS, LOWER = "0123456789", "abcdefghijklmnopqrstuvwxyz"
-UPPER = LOWER.upper()
-# The rules' words and character sets.
-KEYWORDS = ("password", "passwd", "secret", "token", "apikey", "api_key")
-VALUE = UPPER + LOWER + DIGITS + "+/_.=-"
-_QUOTE, _SPACES = ("opt", any_of("\"'")), ("star", any_of(" "))
-
-
 @dataclass(frozen=True)
 class Rule:
-    """head: what must be read for a match; tail: bytes that extend it; least: bytes that must be in value (from the last byte of the head on, or whole)."""
+    """A match of pattern must have `least` bytes in all, or (of_value) from its first byte on that ends a match."""
 
     kind: str
-    head: tuple
-    tail: str
+    pattern: str
     least: int
-    whole: bool
+    of_value: bool = False
 
 
+# The rules.
 RULES = (
-    Rule("assign", ("cat", ("alt", *[text(k, True) for k in KEYWORDS]), _QUOTE, _SPACES, any_of(":="), _SPACES, _QUOTE, any_of(VALUE)), VALUE, 12, False),
-    Rule("access", ("cat", text("AKIA"), any_of(UPPER + DIGITS)), UPPER + DIGITS, 18, True),
-    Rule("hex", any_of(DIGITS + "abcdef"), DIGITS + "abcdef", 16, True),
-    Rule("pem", ("cat", text("-----BEGIN "), ("star", any_of(UPPER + " ")), text("PRIVATE KEY-----")), "", 0, True),
+    Rule("assign", r"""(?i:password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?[A-Za-z0-9+/_.=-]+""", 12, True),
+    Rule("access", "AKIA[A-Z0-9]+", 18),
+    Rule("hex", "[0-9a-f]{16,}", 16),  # of a run, all or nothing: the same as any run with the bound applied afterwards, at fewer hits
+    Rule("pem", "-----BEGIN [A-Z ]*PRIVATE KEY-----", 0),
 )
 BASE = ("assign", "access", "hex")
 
 
+class Parser:
+    """Regular expressions over bytes: literals, \\xHH and escaped signs, sets, groups, (?i:...), alternatives, ? * + {n} {n,} {n,m}."""
+
+    def __init__(self, pattern: str) -> None:
+        self.text, self.at, self.fold = pattern, 0, False
+
+    def parse(self) -> tuple:
+        tree = self.alternatives()
+        if self.at < len(self.text):
+            raise ValueError(f"unexpected {self.text[self.at]!r} at {self.at} of {self.text!r}")
+        return tree
+
+    def peek(self) -> str:
+        return self.text[self.at : self.at + 1]
+
+    def take(self, sign: str) -> bool:
+        ok = self.text.startswith(sign, self.at)
+        self.at += len(sign) * ok
+        return ok
+
+    def alternatives(self) -> tuple:
+        parts = [self.sequence()]
+        while self.take("|"):
+            parts.append(self.sequence())
+        return parts[0] if len(parts) == 1 else ("alt", *parts)
+
+    def sequence(self) -> tuple:
+        parts = []
+        while self.peek() not in ("", "|", ")"):
+            parts.append(self.repeated(self.single()))
+        return ("cat", *parts)
+
+    def repeated(self, one: tuple) -> tuple:
+        while True:
+            if self.take("?"):
+                one = ("alt", ("cat",), one)
+            elif self.take("*"):
+                one = ("star", one)
+            elif self.take("+"):
+                one = ("cat", one, ("star", one))
+            elif self.take("{"):
+                low, comma, high = self.text[self.at : (end := self.text.index("}", self.at))].partition(",")
+                self.at = end + 1
+                more = ("star", one) if comma and not high else ("cat", *[("alt", ("cat",), one)] * (int(high) - int(low) if high else 0))
+                one = ("cat", *[one] * int(low), more)
+            else:
+                return one
+
+    def single(self) -> tuple:
+        if self.take("(?i:"):
+            before, self.fold = self.fold, True
+            tree = self.alternatives()
+            self.fold = before
+        elif self.take("(?:") or self.take("("):
+            tree = self.alternatives()
+        elif self.take("["):
+            return self.chars()
+        else:
+            return self.bytes_of({self.char()})
+        if not self.take(")"):
+            raise ValueError(f"unclosed group in {self.text!r}")
+        return tree
+
+    def char(self) -> int:
+        if self.take("\\x"):
+            self.at += 2
+            return int(self.text[self.at - 2 : self.at], 16)
+        self.take("\\")
+        self.at += 1
+        return ord(self.text[self.at - 1])
+
+    def chars(self) -> tuple:
+        inverted, out = self.take("^"), set()
+        while not self.take("]"):
+            low = self.char()
+            high = low
+            if self.peek() == "-" and self.text[self.at + 1] != "]":
+                self.at += 1
+                high = self.char()
+            out |= set(range(low, high + 1))
+        return self.bytes_of(set(range(256)) - out if inverted else out)
+
+    def bytes_of(self, values: set[int]) -> tuple:
+        if self.fold:
+            values |= {c ^ 32 for c in values if chr(c & ~32) in "ABCDEFGHIJKLMNOPQRSTUVWXYZ"}
+        return ("set", frozenset(values))
+
+
+def backwards(tree: tuple) -> tuple:
+    if tree[0] == "set":
+        return tree
+    parts = [backwards(x) for x in tree[1:]]
+    return (tree[0], *(reversed(parts) if tree[0] == "cat" else parts))
+
+
 @dataclass
 class Automaton:
-    """next[state, class of byte]; accepts[state]: bit r if the head of rule r ends here. States from `first` on accept."""
+    """next[state, class of byte]; accepts[state]: bit r if a match of rule r ends here. States from `first` on accept; state `dead`, if any, leads nowhere."""
 
     classes: np.ndarray
     next: np.ndarray
     accepts: np.ndarray
     first: int
+    dead: int
 
 
-def compile_rules(rules: tuple[Rule, ...]) -> Automaton:
+def compile_trees(trees: list[tuple], anywhere: bool) -> Automaton:
+    """One minimal automaton of all trees; with `anywhere` a match may begin at every byte, else at the first only."""
     eps: list[list[int]] = []
     move: list[list[tuple[frozenset, int]]] = []
 
@@ -96,43 +175,41 @@ def compile_rules(rules: tuple[Rule, ...]) -> Automaton:
                 eps[a].append(s)
                 eps[build(p, s)].append(end)
             return end
-        if kind == "opt":
-            b = build(parts[0], a_ := state())
-            eps[a] += [a_, b]
-            return b
         hub = state()  # star
         eps[a].append(hub)
         eps[build(parts[0], hub)].append(hub)
         return hub
 
     root = state()
-    final = {}
-    for r, rule in enumerate(rules):
+    final: dict[int, int] = {}
+    for r, tree in enumerate(trees):
         s = state()
         eps[root].append(s)
-        final[build(rule.head, s)] = r
+        final[build(tree, s)] = r
     # bytes that no set tells apart share a class
     sets = list({m[0] for ms in move for m in ms})
     marks: dict[tuple, int] = {}
     classes = np.array([marks.setdefault(tuple(c in s for s in sets), len(marks)) for c in range(256)], np.uint8)
     member = {k: int(np.flatnonzero(classes == k)[0]) for k in range(len(marks))}
 
-    def closure(states: set[int]) -> frozenset:
-        todo, out = list(states), set(states)
+    @cache
+    def reach(s: int) -> frozenset:
+        todo, out = [s], {s}
         while todo:
             for t in eps[todo.pop()]:
                 if t not in out:
                     out.add(t)
                     todo.append(t)
-        return frozenset(out)
+        return frozenset(x for x in out if move[x] or x in final)
 
-    start = closure({root})
+    after = [[frozenset().union(*[reach(t) for on, t in move[s] if member[k] in on]) for k in range(len(marks))] for s in range(len(eps))]
+    start = reach(root)
     ids, todo, rows, acc = {start: 0}, [start], [], []
     for now in todo:  # grows while subsets are found
         acc.append(sum(1 << final[s] for s in now if s in final))
         row = []
         for k in range(len(marks)):
-            to = closure({root} | {t for s in now for on, t in move[s] if member[k] in on})
+            to = frozenset().union(*[after[s][k] for s in now], start if anywhere else ())
             if to not in ids:
                 ids[to] = len(ids)
                 todo.append(to)
@@ -152,7 +229,24 @@ def compile_rules(rules: tuple[Rule, ...]) -> Automaton:
     for new_id, s in enumerate(order):
         name[block[s]] = new_id
     nxt, out = np.array([name[block[table_[s]]] for s in order], np.int32), accepts[order]
-    return Automaton(classes, nxt, out, int((out == 0).sum()))
+    stuck = np.flatnonzero((nxt == np.arange(len(nxt))[:, None]).all(1) & (out == 0))
+    return Automaton(classes, nxt, out, int((out == 0).sum()), int(stuck[0]) if len(stuck) and not anywhere else -1)
+
+
+@dataclass
+class Compiled:
+    """All rules together, and each alone forwards and backwards; rules must not match the empty text."""
+
+    rules: tuple[Rule, ...]
+    all: Automaton
+    ahead: list[Automaton]
+    back: list[Automaton]
+
+
+@cache
+def compile_rules(rules: tuple[Rule, ...] = RULES) -> Compiled:
+    trees = [Parser(r.pattern).parse() for r in rules]
+    return Compiled(rules, compile_trees(trees, True), [compile_trees([t], False) for t in trees], [compile_trees([backwards(t)], False) for t in trees])
 
 
 def scan(raw: np.ndarray, auto: Automaton, lanes: int = 2048) -> tuple[np.ndarray, np.ndarray]:
@@ -211,31 +305,22 @@ def scan(raw: np.ndarray, auto: Automaton, lanes: int = 2048) -> tuple[np.ndarra
     return at[inside], st[inside] // wide
 
 
-class Scanner:
-    def __init__(self, rules: tuple[Rule, ...] = RULES) -> None:
-        self.rules, self.auto = rules, compile_rules(rules)
-        self.tails = [np.isin(np.arange(256), np.frombuffer(r.tail.encode(), np.uint8)) for r in rules]
+def farthest(auto: Automaton, data: bytes, places: range) -> int:
+    """The last of the places at which the automaton, fed with their bytes, accepts (-1: none)."""
+    state, best = 0, -1
+    for i in places:
+        state = auto.next[state, auto.classes[data[i]]]
+        if state >= auto.first:
+            best = i
+        elif state == auto.dead:
+            break
+    return best
 
-    def head_start(self, rule: Rule, raw: bytes, end: int, low: int) -> int:
-        """First byte of the head that ends with byte `end` (inclusive)."""
-        if rule.kind == "hex":
-            return end
-        if rule.kind == "access":
-            return end - 4
-        if rule.kind == "pem":
-            return raw.rfind(b"-----BEGIN ", low, end)
-        at = end - 1
-        for _ in range(2):  # value, quote?, spaces, separator, spaces, quote?, keyword
-            if raw[at] in b"\"'":
-                at -= 1 if _ == 0 else 0
-            while raw[at] == 32:
-                at -= 1
-            if _ == 0:
-                at -= 1
-        if raw[at] in b"\"'":
-            at -= 1
-        before = raw[max(low, at - 7) : at + 1].lower()
-        return at + 1 - max(len(k) for k in KEYWORDS if before.endswith(k.encode()))
+
+class Scanner:
+    def __init__(self, compiled: Compiled | None = None) -> None:
+        self.compiled = compiled or compile_rules()
+        self.rules, self.auto = self.compiled.rules, self.compiled.all
 
     def spans(self, raw: np.ndarray, offs: np.ndarray) -> list[list[tuple[int, str, int]]]:
         """Per row: (start, kind, end) in bytes from the row's first byte."""
@@ -251,25 +336,19 @@ class Scanner:
         whole = joined.tobytes()
         for r, rule in enumerate(self.rules):
             here = at[(bits >> r & 1) == 1]
-            if rule.tail:  # only the first head of each run of tail bytes can begin a match there, unless another match ended in between
-                stops = np.flatnonzero(~self.tails[r][joined])
-            done = -1
-            if rule.kind == "hex" and len(here):  # every byte of a run is a head: keep runs that are long enough
-                first = here[np.append(True, np.diff(here) > 1)]
-                ends = stops[np.searchsorted(stops, first)]
-                here = first[ends - first >= rule.least]
-            for e in here.tolist():
-                if e < done:
-                    continue
+            done = k = 0
+            while k < len(here):
+                e = int(here[k])
                 row = int(np.searchsorted(base, e, "right")) - 1
-                low = int(base[row])
-                s = self.head_start(rule, whole, e, low)
-                if s < max(done, low):
+                low, high = int(base[row]), int(base[row + 1]) - 1
+                s = farthest(self.compiled.back[r], whole, range(e, max(done, low) - 1, -1))
+                if s < 0:  # what ends here began within the match before
+                    k += 1
                     continue
-                end = int(stops[np.searchsorted(stops, e)]) if rule.tail else e + 1
-                done = end
-                if end - (s if rule.whole else e) >= rule.least:
-                    out[row].append((s - low, rule.kind, end - low))
+                done = farthest(self.compiled.ahead[r], whole, range(s, high)) + 1
+                if done - (e if rule.of_value else s) >= rule.least:
+                    out[row].append((s - low, rule.kind, done - low))
+                k = int(np.searchsorted(here, done))
         place = {rule.kind: i for i, rule in enumerate(self.rules)}
         for found in out:
             found.sort(key=lambda x: (x[0], place[x[1]]))
@@ -292,8 +371,10 @@ def find(docs: DataFrame, name: str = "_spans") -> DataFrame:
     docs = docs.drop(name)
     schema = T.StructType([*docs.schema.fields, T.StructField(name, SPANS[0].dataType)])
 
+    compiled = compile_rules()  # once, on the driver; tasks get its arrays
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        scanner = Scanner()
+        scanner = Scanner(compiled)
         kind = pa.list_(pa.struct([("start", pa.int64()), ("kind", pa.string()), ("end", pa.int64())]))
         for rows, raw, offs in chunks(batches):
             spans = [[{"start": s, "kind": k, "end": e} for s, k, e in to_code_points(raw[offs[i] : offs[i + 1]], f)] for i, f in enumerate(scanner.spans(raw, offs))]
@@ -311,8 +392,10 @@ def redact(docs: DataFrame, mask: str = "[secret]") -> DataFrame:
     kept = docs.columns
     schema = docs.schema
 
+    compiled = compile_rules()  # once, on the driver; tasks get its arrays
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        scanner = Scanner()
+        scanner = Scanner(compiled)
         for rows, raw, offs in chunks(batches):
             at = rows.schema.get_field_index("text")
             texts, n_at = rows.column(at).to_pylist(), rows.schema.get_field_index("n_chars")

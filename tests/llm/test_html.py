@@ -1,5 +1,7 @@
 """Main text keeps the whole article, and only noise is left out."""
 
+from html.parser import HTMLParser
+
 from rolelattice.llm import html
 
 
@@ -38,3 +40,45 @@ def test_names_within_the_content_stay_noise():
     page = f"<body><main><article class=post><div class=header><h1>Head</h1></div><p>short <span class=share>share</span>text</p><form>mail</form></article>{talk}</main></body>"
     assert html.main_text(page, None) == "Head\n\nshort text"
     assert html.main_text("<body><div class=comments><p>only this</p></div></body>", None) == "only this"
+
+
+class Plain(HTMLParser):
+    """Blocks of the one article of a page: text between the tags of headings and paragraphs."""
+
+    def __init__(self):
+        super().__init__(convert_charrefs=True)
+        self.inside, self.found, self.now = False, [], ""
+
+    def cut(self):
+        if self.now.split():
+            self.found.append(" ".join(self.now.split()))
+        self.now = ""
+
+    def handle_starttag(self, tag, attrs):
+        self.inside |= tag == "article"
+        if tag in ("article", "h1", "p"):
+            self.cut()
+        if tag == "br":
+            self.now += " "
+
+    def handle_endtag(self, tag):
+        if tag in ("article", "h1", "p"):
+            self.cut()
+        self.inside &= tag != "article"
+
+    def handle_data(self, data):
+        if self.inside:
+            self.now += data
+
+
+def test_given_pages_equal_a_plain_parser(spark):
+    """All pages of the table have one article of headings and paragraphs."""
+    sf = "/root/testdata/sf0.01"
+    got = {r.page_id: r.text for r in html.op8_html(spark, sf).collect()}
+    pages = spark.read.parquet(f"{sf}/pages.parquet").select("page_id", "html").collect()
+    assert len(got) == len(pages)
+    for r in pages:
+        p = Plain()
+        p.feed(r.html or "")
+        p.close()
+        assert got[r.page_id] == "\n\n".join(p.found)
