@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import core_queries, relational
+from . import core_queries, experiments, relational
 from .streaming import queries as streams
 
 
@@ -16,8 +16,8 @@ def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {**core_queries.Q, **relational.Q, **streams.Q}
+    return {**core_queries.Q, **experiments.Q, **relational.Q, **streams.Q}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {**core_queries.SQL, **relational.SQL, **streams.SQL}
+    return {**core_queries.SQL, **experiments.SQL, **relational.SQL, **streams.SQL}

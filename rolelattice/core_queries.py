@@ -15,12 +15,13 @@ from .operators import blocks as ob
 from .operators import lattice as ol
 from .operators import metrics as om
 from .operators import search as osr
-from .operators.layout import graphs, place
-from .plans import baselines, cover, rescoring, sweep
+from .operators.layout import graphs, place, small
+from .plans import baselines, rescoring, sweep
 from .plans.state import Control, Layout, average_cost, control, tables
 from .sources import policy as sp
 from .sources import workload as sw
 from .sources.tables import table
+from .storage import kept
 
 Q: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 SQL: dict[str, str] = {}
@@ -47,7 +48,8 @@ def tags_of(spark: SparkSession, d: str, p: str) -> DataFrame:
 
 
 def blocks_of(spark: SparkSession, d: str, p: str) -> DataFrame:
-    return ob.exclusive_blocks(tags_of(spark, d, p))
+    """The block table, worked out once: whoever joins it with itself reads the written rows."""
+    return kept(ob.exclusive_blocks(tags_of(spark, d, p)))
 
 
 def _with(p: str) -> str:
@@ -66,7 +68,7 @@ def _beam(n: str, efs: str = str(EFS)) -> str:
 
 # blocks and lattice
 for _p in "ABCDE":
-    _q(f"m_blocks_{_p}", _with(_p) + "SELECT block_id, role_key, layer, n FROM blocks")(lambda s, d, p=_p: blocks_of(s, d, p).drop("roles"))
+    _q(f"m_blocks_{_p}", _with(_p) + "SELECT block_id, role_key, layer, n FROM blocks")(lambda s, d, p=_p: ob.exclusive_blocks(tags_of(s, d, p)).drop("roles"))
     _q(f"m_authorized_{_p}", _with(_p) + "SELECT role_id, count(*) AS n FROM grants GROUP BY role_id")(lambda s, d, p=_p: ob.authorized(blocks_of(s, d, p)))
     _q(f"x_oracle_sa_{_p}", _with(_p) + "SELECT round(sum(n * layer) / sum(n), 6) AS oracle_sa FROM blocks")(lambda s, d, p=_p: ob.oracle_sa(blocks_of(s, d, p)).select(F.round("oracle_sa", 6).alias("oracle_sa")))
     _q(f"x_selectivity_{_p}", _with(_p) + "SELECT role_id, round(count(*) / (SELECT sum(n) FROM blocks), 6) AS share FROM grants GROUP BY role_id")(lambda s, d, p=_p: ob.selectivity(blocks_of(s, d, p)).select("role_id", F.round("share", 6).alias("share")))
@@ -220,32 +222,6 @@ def measures(c: Control, layout: Layout, base: float) -> dict[str, float]:
 BETAS = (1.0, 1.1, 1.3, 1.5, 2.0, 3.0)
 
 
-def sweep_budgets(s: SparkSession, d: str, p: str, methods: tuple[str, ...], betas: tuple[float, ...] = BETAS) -> DataFrame:
-    """method, budget and all measures of its layout (experiments on storage, cost, purity, indices and leftovers)."""
-    import time
-
-    c = control(blocks_of(s, d, p), M, EFS)
-    base = average_cost(c, baselines.oracle(c))
-    past = past_of(s, d, p) if "mined" in methods else None
-    rows = []
-    for method in methods:
-        for b in betas:
-            t = time.perf_counter()
-            layout = layout_of(c, method, b, THRESHOLD[p], past)
-            took = time.perf_counter() - t
-            assert cover.covers(c, layout)
-            rows.append((method, float(b), took, *[round(float(v), 6) for v in measures(c, layout, base).values()]))
-    names = ["sa", "avg_cost", "qa", "purity", "indices_per_query", "leftovers_per_query", "indices", "indexed_vectors", "leftover_vectors"]
-    return s.createDataFrame(rows, "method string, budget double, partition_seconds double, " + ", ".join(f"{n} double" for n in names))
-
-
-for _p in "ADE":
-    _q(f"e_budgets_sweep_{_p}")(lambda s, d, p=_p: sweep_budgets(s, d, p, ("sweep",)))
-    _q(f"e_budgets_baselines_{_p}")(lambda s, d, p=_p: sweep_budgets(s, d, p, ("mined", "rolepart", "global", "oracle", "exclusive")))
-for _p in "AD":
-    _q(f"e_budgets_rescoring_{_p}")(lambda s, d, p=_p: sweep_budgets(s, d, p, ("rescoring",), (1.0, 1.1, 1.5, 3.0)))
-
-
 @_q("e_threshold_D")
 def threshold_grid(s: SparkSession, d: str) -> DataFrame:
     """Cost and indices over a grid of index thresholds."""
@@ -274,9 +250,9 @@ def toy_control() -> Control:
 
 # workloads
 _N = 100
-for _p in "AD":
+for _p in "ABCDE":
     _roles = list(sp.ROLES[_p])
-    _q(f"w_single_{_p}", _with(_p) + f""", pos AS (SELECT role_id, vec_id, row_number() OVER (PARTITION BY role_id ORDER BY vec_id) - 1 AS pos, count(*) OVER (PARTITION BY role_id) AS c FROM grants), q AS (SELECT range AS qid, {_roles}[CAST(range % {len(_roles)} AS INTEGER) + 1] AS role_id FROM range({_N}))
+    _q(f"w_single_{_p}", _with(_p) + f""", pos AS (SELECT role_id, vec_id, row_number() OVER (PARTITION BY role_id ORDER BY vec_id % {sw.SLICES}, vec_id) - 1 AS pos, count(*) OVER (PARTITION BY role_id) AS c FROM grants), q AS (SELECT range AS qid, {_roles}[CAST(range % {len(_roles)} AS INTEGER) + 1] AS role_id FROM range({_N}))
      SELECT qid, role_id, vec_id FROM q JOIN pos USING (role_id) WHERE pos = (qid * 7919) % c""")(lambda s, d, p=_p: sw.single_role(s, t := tags_of(s, d, p), ob.exclusive_blocks(t), list(sp.ROLES[p]), _N))
     _q(f"w_weighted_{_p}", _with(_p) + f", z AS (SELECT role_id, n, sum(n) OVER (ORDER BY role_id) AS hi, sum(n) OVER () AS t FROM (SELECT role_id, count(*) AS n FROM grants GROUP BY role_id)) SELECT range AS qid, role_id FROM range({_N}) JOIN z ON ((range * 7919 + 13) % 10007) * t >= (hi - n) * 10007 AND ((range * 7919 + 13) % 10007) * t < hi * 10007")(lambda s, d, p=_p: sw.weighted_role(s, blocks_of(s, d, p), _N))
     _q(f"w_multi_{_p}", _with(_p) + f", m AS (SELECT role_key, row_number() OVER (ORDER BY block_id) - 1 AS i, count(*) OVER () AS c FROM blocks WHERE layer > 1) SELECT range AS qid, role_key FROM range({_N}) JOIN m ON range % c = i")(lambda s, d, p=_p: sw.multi_role(s, blocks_of(s, d, p), _N))
@@ -288,9 +264,14 @@ for _p in "AD":
 def role_queries(s: SparkSession, d: str, p: str, n: int = _N) -> tuple[DataFrame, DataFrame, DataFrame, DataFrame]:
     """queries (qid, x, roles, qclass), vectors, tags, blocks."""
     t, v = tags_of(s, d, p), sp.vectors(s, d, p)
-    b = ob.exclusive_blocks(t)
-    q = sw.single_role(s, t, b, list(sp.ROLES[p]), n).join(v, "vec_id").select("qid", F.col("embedding").alias("x"), F.array("role_id").alias("roles"), F.col("role_id").cast("string").alias("qclass"))
-    return q, v, t, b
+    b = blocks_of(s, d, p)
+    w = sw.single_role(s, t, b, list(sp.ROLES[p]), n).select("qid", "vec_id", F.array("role_id").alias("roles"), F.col("role_id").cast("string").alias("qclass"))
+    return with_vectors(w, v), v, t, b
+
+
+def with_vectors(queries: DataFrame, v: DataFrame) -> DataFrame:
+    """qid, x, roles, qclass of queries by vec_id; written, since searches and their truth read them again and again."""
+    return kept(v.join(small(queries), "vec_id").select("qid", F.col("embedding").alias("x"), "roles", "qclass"))
 
 
 def search_with(s: SparkSession, d: str, p: str, method: str = "sweep", budget: float = 1.1, coordinated: bool = False, hnsw: bool = False) -> tuple[DataFrame, DataFrame | None]:
@@ -298,30 +279,31 @@ def search_with(s: SparkSession, d: str, p: str, method: str = "sweep", budget:
     c = control(b, M, EFS)
     held, plan = tables(s, c, layout_of(c, method, budget, THRESHOLD[p], past_of(s, d, p) if method == "mined" else None))
     placed = place(v, t, b, held)
-    g = graphs(placed, efc=EFC) if hnsw else None
+    g = kept(graphs(placed, efc=EFC)) if hnsw else None
     if coordinated:
         return osr.coordinated(q, plan, placed, c.roles, g, K, EFS)
     return osr.independent(q, plan, placed, c.roles, g, K, EFS), None
 
 
 def topk_sql(p: str) -> str:
-    return SQL[f"w_single_{p}"].rstrip().replace("SELECT qid, role_id, vec_id FROM q JOIN pos", ", w AS (SELECT qid, role_id, vec_id FROM q JOIN pos").replace("% c", "% c)") + """
+    return SQL[f"w_single_{p}"].rstrip().replace("SELECT qid, role_id, vec_id FROM q JOIN pos", ", w AS (SELECT qid, role_id, vec_id FROM q JOIN pos").replace("% c", "% c)") + f"""
+     , vectors AS MATERIALIZED ({sp.vectors_sql(p)})
      , d AS (SELECT qid, g.vec_id, list_sum(list_transform(list_zip(x.embedding, y.embedding), lambda p: (CAST(p[1] AS DOUBLE) - CAST(p[2] AS DOUBLE)) * (CAST(p[1] AS DOUBLE) - CAST(p[2] AS DOUBLE)))) AS dist
-      FROM w JOIN grants g USING (role_id) JOIN embeddings x ON x.vec_id = w.vec_id JOIN embeddings y ON y.vec_id = g.vec_id)
-     SELECT qid, CAST(rank AS INTEGER) AS rank, vec_id, round(dist, 6) AS dist FROM (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY dist, vec_id) AS rank FROM d) WHERE rank <= 10"""
+      FROM w JOIN grants g USING (role_id) JOIN vectors x ON x.vec_id = w.vec_id JOIN vectors y ON y.vec_id = g.vec_id)
+     SELECT qid, CAST(rank AS INTEGER) AS rank, vec_id, round(dist, 6) AS dist FROM (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY round(dist, 12), vec_id) AS rank FROM d) WHERE rank <= 10"""
 
 
 def _rounded(x: DataFrame) -> DataFrame:
     return x.select("qid", "rank", "vec_id", F.round("dist", 6).alias("dist"))
 
 
-for _p in "AD":
+for _p in "ABCDE":
     _q(f"search_exact_{_p}", topk_sql(_p))(lambda s, d, p=_p: _rounded(osr.exact(*role_queries(s, d, p))))
-    for _m in ("sweep", "exclusive", "rolepart", "global", "oracle", "mined"):
+    for _m in ("sweep", "exclusive", "rolepart", "global", "oracle", "mined") if _p in "AD" else ("sweep", "mined"):
         _q(f"search_units_{_m}_{_p}", topk_sql(_p))(lambda s, d, p=_p, m=_m: _rounded(search_with(s, d, p, m)[0]))
     _q(f"search_coordinated_{_p}", topk_sql(_p))(lambda s, d, p=_p: _rounded(search_with(s, d, p, coordinated=True)[0]))
-    _q(f"search_coordination_{_p}")(lambda s, d, p=_p: om.coordination(search_with(s, d, p, coordinated=True)[1]))
-    _q(f"search_leaks_{_p}", "SELECT CAST(NULL AS BIGINT) AS qid, CAST(NULL AS BIGINT) AS vec_id WHERE false")(lambda s, d, p=_p: osr.leak_check(search_with(s, d, p)[0], role_queries(s, d, p)[0], tags_of(s, d, p)))
+for _p in "AD":
+    _q(f"search_leaks_{_p}", "SELECT CAST(NULL AS BIGINT) AS qid, CAST(NULL AS BIGINT) AS vec_id WHERE false")(lambda s, d, p=_p: osr.leak_check(search_with(s, d, p, hnsw=True, coordinated=True)[0], role_queries(s, d, p)[0], tags_of(s, d, p)))
 _q("search_sql_twin_A", topk_sql("A"))(lambda s, d: sql_twin(s, d, "A"))
 
 
@@ -342,98 +324,3 @@ def recall_hnsw(s: SparkSession, d: str) -> DataFrame:
         r = om.recall(search_with(s, d, "A", hnsw=True, coordinated=on)[0], truth).withColumn("mode", F.lit(name))
         out = r if out is None else out.union(r)
     return out
-
-
-def _filtered_scan(roles: dict[int, frozenset[int]], two: bool, efs: int) -> Callable:
-    from .operators import hnsw
-
-    def run(qs, vs):  # noqa: ANN001, ANN202
-        import numpy as np
-        import pandas as pd
-
-        if not len(qs) or not len(vs):
-            return pd.DataFrame({"qid": [], "vec_id": [], "dist": []})
-        graph, rows = hnsw.Graph.load(vs["graph"].iloc[0]), []
-        for x in qs.itertuples():
-            ok = np.array([bool(roles[i] & frozenset(x.roles)) for i in graph.blocks.tolist()])
-            rows += [(x.qid, int(graph.ids[i]), dist) for dist, i in hnsw.filtered(graph, x.x, ok, K, efs, two)]
-        return pd.DataFrame(rows, columns=["qid", "vec_id", "dist"])
-
-    return run
-
-
-def filtered_search(q: DataFrame, placed: DataFrame, g: DataFrame, roles: dict[int, frozenset[int]], two: bool, efs: int) -> DataFrame:
-    spread = q.join(F.broadcast(placed.select("unit_id", "shard").distinct()))
-    got = spread.groupBy("unit_id", "shard").cogroup(g.select(*[F.col(c).alias(c) for c in g.columns]).groupBy("unit_id", "shard")).applyInPandas(_filtered_scan(roles, two, efs), osr.HITS)
-    return osr.best(got, k=K)
-
-
-#: Beams of the grid; filtered variants of the global graph: name, through barred neighbours, links.
-BEAMS, FILTERED = (10, 50, 100, 300, 500, 1000), (("one_hop", True, 16), ("gamma", False, 12 * 16))
-
-
-@_q("e_efs_A")
-def efs_grid(s: SparkSession, d: str) -> DataFrame:
-    """method, efs, recall: graph search of each layout, and filtered search of one graph, over a grid of beams."""
-    q, v, t, b = role_queries(s, d, "A")
-    truth, c = osr.exact(q, v, t, b).persist(), control(b, M, EFS)
-    out = None
-    for method in ("sweep", "rescoring", "mined", "rolepart", "global", "oracle"):
-        held, plan = tables(s, c, layout_of(c, method, 1.1, THRESHOLD["A"], past_of(s, d, "A") if method == "mined" else None))
-        placed = place(v, t, b, held)
-        g = graphs(placed, efc=EFC).persist()
-        for efs in BEAMS:
-            r = om.recall(osr.independent(q, plan, placed, c.roles, g, K, efs), truth).select(F.lit(method).alias("method"), F.lit(efs).alias("efs"), "recall")
-            out = r if out is None else out.union(r)
-    held, _ = tables(s, c, baselines.global_index(c))
-    placed = place(v, t, b, held)
-    for name, two, m in FILTERED:
-        g = graphs(placed, m=m, efc=EFC).persist()
-        for efs in BEAMS:
-            out = out.union(om.recall(filtered_search(q, placed, g, c.roles, two, efs), truth).select(F.lit(name).alias("method"), F.lit(efs).alias("efs"), "recall"))
-    return out
-
-
-def outside(q: DataFrame, v: DataFrame, t: DataFrame) -> DataFrame:
-    """qid, x, roles, qclass: for each query a vector that its role may not read, by position among all such (a role that reads all has none)."""
-    role = q.select("roles", "qclass").distinct()
-    barred = v.select("vec_id").join(t.select("vec_id", F.col("roles").alias("held")), "vec_id", "left").crossJoin(F.broadcast(role)).where("held IS NULL OR NOT arrays_overlap(roles, held)")
-    w = Window.partitionBy("qclass")
-    barred = barred.select("qclass", "vec_id", (F.row_number().over(w.orderBy("vec_id")) - 1).alias("pos"), F.count("*").over(w).alias("n"))
-    return q.select("qid", "roles", "qclass").join(barred, "qclass").where((F.col("qid") * 104729 + 7) % F.col("n") == F.col("pos")).join(v, "vec_id").select("qid", F.col("embedding").alias("x"), "roles", "qclass")
-
-
-@_q("e_sensitivity_A")
-def sensitivity(s: SparkSession, d: str) -> DataFrame:
-    """share, recall: query vectors drawn from what the role may read in that share, else from the rest."""
-    q, v, t, b = role_queries(s, d, "A")
-    c = control(b, M, EFS)
-    held, plan = tables(s, c, layout_of(c, "sweep", 1.1, THRESHOLD["A"]))
-    placed = place(v, t, b, held)
-    g = graphs(placed, efc=EFC).persist()
-    other = outside(q, v, t)
-    out = None
-    for share in (0.0, 0.25, 0.5, 0.75, 1.0):
-        inside = F.pmod(F.col("qid") * 7919, F.lit(100)) < int(share * 100)
-        mixed = q.where(inside).select("qid", "x", "roles", "qclass").union(other.where(~inside).select("qid", "x", "roles", "qclass"))
-        r = om.recall(osr.independent(mixed, plan, placed, c.roles, g, K, EFS), osr.exact(mixed, v, t, b)).select(F.lit(share).alias("share"), "recall")
-        out = r if out is None else out.union(r)
-    return out
-
-
-def filtered_recall(s: SparkSession, d: str, p: str, efs: int = EFS) -> DataFrame:
-    """variant, recall of filtering during traversal on one global graph."""
-    q, v, t, b = role_queries(s, d, p)
-    truth = osr.exact(q, v, t, b)
-    c = control(b, M, EFS)
-    roles = c.roles
-    held, _ = tables(s, c, baselines.global_index(c))
-    placed = place(v, t, b, held)
-    out = None
-    for name, two, m in FILTERED:
-        r = om.recall(filtered_search(q, placed, graphs(placed, m=m, efc=EFC), roles, two, efs), truth).withColumn("variant", F.lit(name))
-        out = r if out is None else out.union(r)
-    return out
-
-
-_q("b_filtered_recall_A")(lambda s, d: filtered_recall(s, d, "A"))

@@ -19,9 +19,8 @@ def named(tags: DataFrame) -> DataFrame:
 def exclusive_blocks(tags: DataFrame) -> DataFrame:
     """(block_id, role_key, roles, layer, n). Sizes are one partial aggregate, so what is shuffled is a row for each task and
     block; the numbering runs over the blocks alone."""
-    sizes = tags.groupBy("role_key").agg(F.count("*").alias("n"))
-    roles = F.transform(F.split("role_key", ","), lambda x: x.cast("int"))
-    sizes = sizes.withColumns({"roles": roles, "layer": F.size(F.split("role_key", ","))})
+    sizes = tags.groupBy("roles").agg(F.count("*").alias("n"))
+    sizes = sizes.withColumns({"role_key": F.array_join(F.transform("roles", lambda r: r.cast("string")), ","), "layer": F.size("roles")})
     return sizes.select((F.row_number().over(Window.orderBy("layer", "role_key")) - 1).alias("block_id"), "role_key", "roles", "layer", "n")
 
 

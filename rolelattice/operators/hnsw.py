@@ -24,6 +24,8 @@ class Graph:
     vectors: np.ndarray
     levels: list[dict[int, np.ndarray]]
     entry: int
+    #: Distances worked out so far.
+    work: int = 0
 
     def dump(self) -> bytes:
         return pickle.dumps((self.ids, self.blocks, self.vectors, self.levels, self.entry), protocol=5)
@@ -33,6 +35,7 @@ class Graph:
         return Graph(*pickle.loads(data))
 
     def distance(self, x: np.ndarray, at: np.ndarray) -> np.ndarray:
+        self.work += len(at)
         d = self.vectors[at] - x
         return np.einsum("ij,ij->i", d, d)
 
@@ -114,37 +117,48 @@ def build(ids: np.ndarray, vectors: np.ndarray, blocks: np.ndarray | None = None
 
 
 class Cursor:
-    """Base-layer search that stops after efs places and may go on later."""
+    """Base-layer search that expands a number of places and may go on later, in another task too: dump() holds all that it knows."""
 
-    def __init__(self, g: Graph, x: np.ndarray) -> None:
+    def __init__(self, g: Graph, x: np.ndarray, state: bytes | None = None) -> None:
         self.g, self.x = g, np.asarray(x, np.float64)
-        self.popped, self.work = [], 0
-        if g.entry < 0:
-            self.todo, self.seen = [], set()
-            return
-        at = [(float(g.distance(self.x, np.array([g.entry]))[0]), g.entry)]
-        for level in range(len(g.levels) - 1, 0, -1):
-            if at[0][1] in g.levels[level]:
+        self.popped: list[tuple[float, int]] = []
+        self.todo: list[tuple[float, int]] = []
+        if state is not None:
+            d, i, n = pickle.loads(state)
+            both = list(zip(d.tolist(), i.tolist(), strict=True))
+            self.popped, self.todo = both[:n], both[n:]
+        elif g.entry >= 0:
+            at = [(float(g.distance(self.x, np.array([g.entry]))[0]), g.entry)]
+            for level in range(len(g.levels) - 1, 0, -1):
                 at = _beam(g, self.x, at, 1, level)[:1]
-        self.todo, self.seen = list(at), {at[0][1]}
+            self.todo = list(at)
+        self.seen = {i for _, i in self.popped + self.todo}
+
+    def dump(self) -> bytes:
+        """Places expanded, then places open (a heap), with their distances."""
+        both = self.popped + self.todo
+        return pickle.dumps((np.array([d for d, _ in both]), np.array([i for _, i in both], np.int64), len(self.popped)), protocol=5)
 
     def resume(self, more: int, bound: float = math.inf) -> list[tuple[float, int]]:
-        """Take up to `more` further places, nearest open one first; end when the nearest open one is not below the bound."""
+        """Expand up to `more` further places, nearest open one first; end when the nearest open one is not below the bound."""
         new = []
         while self.todo and len(new) < more:
             if self.todo[0][0] >= bound:
                 break
             d, i = heapq.heappop(self.todo)
             new.append((d, i))
-            near = [j for j in self.g.levels[0].get(i, ()) if j not in self.seen]
+            near = [j for j in self.g.levels[0].get(i, np.zeros(0, np.int64)).tolist() if j not in self.seen]
             if near:
                 self.seen.update(near)
-                self.work += len(near)
                 for dj, j in zip(self.g.distance(self.x, np.array(near)).tolist(), near, strict=True):
                     heapq.heappush(self.todo, (dj, j))
         self.popped += new
         return new
 
+    def nearest(self, n: int) -> list[tuple[float, int]]:
+        """The n nearest of all places seen."""
+        return heapq.nsmallest(n, self.popped + self.todo)
+
 
 def search(g: Graph, x: np.ndarray, k: int, efs: int) -> list[tuple[float, int]]:
     """The k nearest found, as (squared distance, place)."""

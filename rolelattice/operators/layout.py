@@ -9,18 +9,23 @@ from . import hnsw
 
 #: Rows that a shard may hold; larger units are spread by a hash of the id.
 SHARD_ROWS = 200_000
-#: Blocks that a layout's table of (unit, block) may have to be broadcast.
+#: Rows that a control table (blocks, plans, shards) may have to be broadcast.
 BROADCAST_ROWS = 200_000
 
 
+def small(control: DataFrame) -> DataFrame:
+    """A control table, to be broadcast if it is as small as control tables should be; else joins decide for themselves."""
+    return F.broadcast(control) if control.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS else control
+
+
 def place(vectors: DataFrame, tags: DataFrame, blocks: DataFrame, node_blocks: DataFrame, shard_rows: int = SHARD_ROWS) -> DataFrame:
     """unit_id, kind, shard, block_id, vec_id, embedding: a row for each place that holds a vector.
 
     Tags and vectors join by id once; the block of a tag and the units of a block come from control tables (checked small)."""
-    ids = F.broadcast(blocks.select("role_key", "block_id"))
+    ids = small(blocks.select("role_key", "block_id"))
     block_of = tags.select("vec_id", "role_key").join(ids, "role_key").select("vec_id", "block_id")
     sizes = node_blocks.join(blocks.select("block_id", "n"), "block_id").groupBy("unit_id").agg(F.ceil(F.sum("n") / shard_rows).cast("int").alias("shards"))
-    units = F.broadcast(node_blocks.join(sizes, "unit_id"))
+    units = small(node_blocks.join(sizes, "unit_id"))
     rows = vectors.join(block_of, "vec_id").join(units, "block_id")
     return rows.select("unit_id", "kind", F.pmod(F.xxhash64("vec_id"), F.col("shards")).cast("int").alias("shard"), "block_id", "vec_id", "embedding")
 

@@ -39,8 +39,19 @@ def lambda_profile(plan: DataFrame) -> DataFrame:
 
 
 def coordination(counters: DataFrame) -> DataFrame:
-    """Share of impure visits that were skipped, and of the inflated beam that was not spent."""
-    return counters.agg((F.sum("skipped") / F.sum("impure")).alias("skip_rate"), (1 - F.sum("spent") / F.sum("inflated")).alias("beam_reduction"))
+    """Share of impure visits that were skipped, and of the inflated beam that was not spent (null where nothing is impure)."""
+    return counters.agg(F.try_divide(F.sum("skipped"), F.sum("impure")).alias("skip_rate"), (1 - F.try_divide(F.sum("spent"), F.sum("inflated"))).alias("beam_reduction"))
+
+
+def robustness(runs: DataFrame, rate: str) -> DataFrame:
+    """Worst over best rate of a grid."""
+    return runs.agg((F.min(rate) / F.max(rate)).alias("worst_over_best"))
+
+
+def speedup(runs: DataFrame, rate: str, of: str) -> DataFrame:
+    """method, speedup: mean over the grid of the rate over that of one method."""
+    base = runs.where(F.col("method") == of).select("efs", F.col(rate).alias("_base"))
+    return runs.join(base, "efs").groupBy("method").agg(F.avg(F.col(rate) / F.col("_base")).alias("speedup"))
 
 
 def timed(run: Callable[[], DataFrame], repeats: int = 3) -> float:

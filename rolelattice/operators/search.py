@@ -1,6 +1,7 @@
 """Top-k search under access control: exact, unit by unit, and coordinated in two stages with a bound.
 
-Distances are squared L2. A result holds a vector once however many units hold it; ties go to the smaller id.
+Distances are squared L2. A result holds a vector once however many units hold it; ties go to the smaller id. Queries have qid, x,
+roles, qclass and may have efs, a beam of their own.
 """
 
 from __future__ import annotations
@@ -10,9 +11,13 @@ import math
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..storage import kept
 from . import hnsw
+from .layout import small
 
 HITS = "qid bigint, vec_id bigint, dist double"
+#: Vectors of a block that one task of exact search holds.
+SCAN_ROWS = 50_000
 
 
 def best(hits: DataFrame, k_of: DataFrame | None = None, k: int = 10) -> DataFrame:
@@ -26,13 +31,13 @@ def best(hits: DataFrame, k_of: DataFrame | None = None, k: int = 10) -> DataFra
     return one.withColumn("rank", nth).where("rank <= k").select("qid", "rank", "vec_id", "dist")
 
 
-def exact(queries: DataFrame, vectors: DataFrame, tags: DataFrame, blocks: DataFrame, shards: int = 8, k: int = 10) -> DataFrame:
-    """queries (qid, x, roles) against all vectors that share a role with them: block by block in bounded shards, as matrix products of
-    a block's vectors and the queries routed to it."""
-    routed = queries.select("qid", "x", F.explode("roles").alias("role_id")).join(blocks.select("block_id", F.explode("roles").alias("role_id")), "role_id").select("qid", "x", "block_id").dropDuplicates(["qid", "block_id"])
-    spread = routed.withColumn("shard", F.explode(F.sequence(F.lit(0), F.lit(shards - 1))))
-    block_of = tags.select("vec_id", "role_key").join(F.broadcast(blocks.select("role_key", "block_id")), "role_key")
-    held = vectors.join(block_of, "vec_id").select("block_id", F.pmod(F.xxhash64("vec_id"), F.lit(shards)).cast("int").alias("shard"), "vec_id", "embedding")
+def exact(queries: DataFrame, vectors: DataFrame, tags: DataFrame, blocks: DataFrame, k: int = 10, rows: int = SCAN_ROWS) -> DataFrame:
+    """queries (qid, x, roles) against all vectors that share a role with them: block by block, a block in as many shards as its size asks for."""
+    sized = blocks.select("block_id", "role_key", "roles", F.greatest(F.ceil(F.col("n") / rows), F.lit(1)).cast("int").alias("shards"))
+    routed = queries.select("qid", "x", F.explode("roles").alias("role_id")).join(sized.select("block_id", "shards", F.explode("roles").alias("role_id")), "role_id").select("qid", "x", "block_id", "shards").dropDuplicates(["qid", "block_id"])
+    spread = routed.select("qid", "x", "block_id", F.explode(F.sequence(F.lit(0), F.col("shards") - 1)).alias("shard"))
+    block_of = tags.select("vec_id", "role_key").join(small(sized.select("role_key", "block_id", "shards")), "role_key")
+    held = vectors.join(block_of, "vec_id").select("block_id", F.pmod(F.xxhash64("vec_id"), F.col("shards")).cast("int").alias("shard"), "vec_id", "embedding")
 
     def scan(qs, vs):  # noqa: ANN001, ANN202
         import numpy as np
@@ -43,44 +48,58 @@ def exact(queries: DataFrame, vectors: DataFrame, tags: DataFrame, blocks: DataF
         v, ids, out = np.stack(vs["embedding"].to_list()).astype(float), vs["vec_id"].to_numpy(), []
         for q, x in zip(qs["qid"], qs["x"], strict=True):
             d = ((v - np.asarray(x, float)) ** 2).sum(1)
-            top = np.lexsort((ids, d))[:k]
-            out.append(pd.DataFrame({"qid": q, "vec_id": ids[top], "dist": d[top]}))
-        return pd.concat(out)
+            near = np.flatnonzero(d <= np.partition(d, k - 1)[k - 1]) if len(d) > k else np.arange(len(d))
+            top = near[np.lexsort((ids[near], d[near]))][:k]
+            out.append((np.full(len(top), q), ids[top], d[top]))
+        return pd.DataFrame(dict(zip(("qid", "vec_id", "dist"), map(np.concatenate, zip(*out, strict=True)), strict=True)))
 
+    held = held.select(*[F.col(x).alias(x) for x in held.columns])  # both sides stem from the blocks
     return best(spread.groupBy("block_id", "shard").cogroup(held.groupBy("block_id", "shard")).applyInPandas(scan, HITS), k=k)
 
 
 def bind(queries: DataFrame, plan: DataFrame) -> DataFrame:
     """qid, x, roles, unit_id, kind, pure, lambda: each query with the units of its class (a column qclass on both)."""
-    return queries.join(F.broadcast(plan.select("qclass", "unit_id", "kind", "pure", "lambda")), "qclass")
+    return queries.join(small(plan.select("qclass", "unit_id", "kind", "pure", "lambda")), "qclass")
 
 
-STAGE = HITS + ", unit_id int, shard int, final boolean, kth double, probed int, spent int, inflated int"
+STAGE = HITS + ", unit_id int, shard int, final boolean, kth double, probed int, spent int, inflated int, work bigint, seconds double, state binary"
+_COLUMNS = [x.split()[0] for x in STAGE.split(", ")]
 
 
-def _stage(bound_queries: DataFrame, placed: DataFrame, graphs: DataFrame | None, roles_of: dict[int, frozenset[int]], k: int, efs: int, mode: str) -> DataFrame:
-    """Rows of hits, and one row without a hit for each (query, unit, shard) with its counters.
+def frame(rows: list[tuple], names: list[str]):  # noqa: ANN201
+    """Rows as pandas; ids stay whole numbers beside nulls."""
+    import pandas as pd
 
-    mode first: pure units and leftovers in full, impure ones at the plain beam with the k-th unfiltered distance;
-    full: every unit at its inflated beam; rest: impure ones beyond the plain beam, up to a bound in the column `bound`."""
+    cols = list(zip(*rows, strict=True)) if rows else [[] for _ in names]
+    return pd.DataFrame({n: pd.array(list(c), dtype="Int64") if n == "vec_id" else list(c) for n, c in zip(names, cols, strict=True)})
+
+
+def _stage(spread: DataFrame, placed: DataFrame, graphs: DataFrame | None, roles_of: dict[int, frozenset[int]], k: int, mode: str) -> DataFrame:
+    """Rows of hits, and one row without a hit for each (query, unit, shard) with its counters. spread: queries with unit_id, shard, kind, efs.
+
+    mode first: pure units and leftovers in full, impure ones at the plain beam, with the k-th distance of all that was seen and
+    the state of the search; full: every unit at its inflated beam; rest: impure ones from that state (column `state`) on,
+    up to the distance in the column `bound`."""
 
     def run(key, qs, vs):  # noqa: ANN001, ANN202
+        import time
+
         import numpy as np
         import pandas as pd
 
-        cols = ["qid", "vec_id", "dist", "unit_id", "shard", "final", "kth", "probed", "spent", "inflated"]
         if not len(qs) or not len(vs):
-            return pd.DataFrame({c: [] for c in cols})
+            return pd.DataFrame({c: [] for c in _COLUMNS})
         out = []
         g = hnsw.Graph.load(vs["graph"].iloc[0]) if "graph" in vs else None
         if g is None:
             ids, blocks, v = vs["vec_id"].to_numpy(), vs["block_id"].to_numpy(), np.stack(vs["embedding"].to_list()).astype(float)
         else:
             ids, blocks = g.ids, g.blocks
+        named, where = np.unique(blocks, return_inverse=True)
         for q in qs.itertuples():
-            mine = frozenset(q.roles)
-            allowed = {b: bool(roles_of[b] & mine) for b in np.unique(blocks).tolist()}
-            ok = np.array([allowed[b] for b in blocks.tolist()])
+            began, done, state = time.perf_counter(), g.work if g else 0, None
+            mine, efs = frozenset(q.roles), int(q.efs)
+            ok = np.array([bool(roles_of[b] & mine) for b in named.tolist()])[where]
             lam = float(len(ids) / ok.sum()) if ok.any() else 1.0
             pure = bool(ok.all())
             wide = min(max(len(ids), efs), math.ceil(math.ceil(lam) * efs))
@@ -104,25 +123,24 @@ def _stage(bound_queries: DataFrame, placed: DataFrame, graphs: DataFrame | None
                 got = [(d, i) for d, i in hnsw.search(g, q.x, wide, wide) if ok[i]][:k]
                 probed = wide
             else:
-                found = hnsw.search(g, q.x, efs, efs)
-                kth = found[k - 1][0] if len(found) >= k else math.inf
-                final = len(found) >= len(ids)
-                got = [(d, i) for d, i in found if ok[i]][:k]
-                probed = efs
+                cursor = hnsw.Cursor(g, q.x, q.state if mode == "rest" else None)
                 if mode == "rest":
-                    cursor = hnsw.Cursor(g, q.x)
-                    more = cursor.resume(wide, q.bound)
-                    spent = max(0, len(more) - efs)
-                    got = sorted({i: d for d, i in [*found, *more] if ok[i]}.items(), key=lambda t: (t[1], ids[t[0]]))[:k]
-                    got = [(d, i) for i, d in got]
+                    spent = len(cursor.resume(wide - efs, q.bound))
+                else:
+                    cursor.resume(efs)
+                    seen = cursor.nearest(k)
+                    kth = seen[-1][0] if len(seen) >= k else math.inf
+                    final, state = not cursor.todo, cursor.dump()
+                got = [(d, i) for d, i in cursor.nearest(wide) if ok[i]][:k]
+                probed = efs
             inflated = max(0, wide - efs) if not pure else 0
-            out.append((q.qid, None, None, key[0], key[1], final, kth, probed, spent, inflated))
-            out += [(q.qid, int(ids[i]), d, key[0], key[1], final, kth, probed, spent, inflated) for d, i in got]
-        return pd.DataFrame(out, columns=cols)
+            took = time.perf_counter() - began
+            work = g.work - done if g else len(ids)
+            out.append((q.qid, None, None, key[0], key[1], final, kth, probed, spent, inflated, work, took, state))
+            out += [(q.qid, int(ids[i]), d, key[0], key[1], final, kth, probed, spent, inflated, 0, 0.0, None) for d, i in got]
+        return frame(out, _COLUMNS)
 
     parts = []
-    shards = placed.select("unit_id", "shard").distinct()
-    spread = bound_queries.join(F.broadcast(shards), "unit_id")
     for kind in ("index", "leftover"):
         qs = spread.where(F.col("kind") == kind)
         if kind == "index" and graphs is not None:
@@ -134,27 +152,45 @@ def _stage(bound_queries: DataFrame, placed: DataFrame, graphs: DataFrame | None
     return parts[0].union(parts[1])
 
 
+def with_beam(queries: DataFrame, efs: int) -> DataFrame:
+    return queries if "efs" in queries.columns else queries.withColumn("efs", F.lit(efs))
+
+
+def sharded(bound: DataFrame, placed: DataFrame) -> DataFrame:
+    """Bound queries with each shard of their units."""
+    return bound.join(small(placed.select("unit_id", "shard").distinct()), "unit_id")
+
+
 def independent(queries: DataFrame, plan: DataFrame, placed: DataFrame, roles_of: dict[int, frozenset[int]], graphs: DataFrame | None = None, k: int = 10, efs: int = 100) -> DataFrame:
     """Every unit of the plan by itself (impure ones at the inflated beam), then one merge. Without graphs, units are scanned."""
-    return best(_stage(bind(queries, plan), placed, graphs, roles_of, k, efs, "full").where("vec_id is not null").select("qid", "vec_id", "dist"), k=k)
+    return best(visits(queries, plan, placed, roles_of, graphs, k, efs).where("vec_id is not null").select("qid", "vec_id", "dist"), k=k)
+
+
+def visits(queries: DataFrame, plan: DataFrame, placed: DataFrame, roles_of: dict[int, frozenset[int]], graphs: DataFrame | None = None, k: int = 10, efs: int = 100) -> DataFrame:
+    """Hits and counters of all visits of independent search."""
+    return _stage(sharded(bind(with_beam(queries, efs), plan), placed), placed, graphs, roles_of, k, "full")
 
 
 def coordinated(queries: DataFrame, plan: DataFrame, placed: DataFrame, roles_of: dict[int, frozenset[int]], graphs: DataFrame | None = None, k: int = 10, efs: int = 100) -> tuple[DataFrame, DataFrame]:
     """(results, counters by query).
 
     First leftovers, pure units, and a plain probe of impure ones. Their authorized hits give the k-th distance as a bound. An
-    impure unit whose plain probe's unfiltered k-th distance is not below it is skipped; the others go on, up to the bound."""
-    first = _stage(bind(queries, plan), placed, graphs, roles_of, k, efs, "first").persist()
+    impure unit whose plain probe's unfiltered k-th distance is not below it is skipped; the others go on from where their
+    probe ended, up to the bound. The first stage is written once, so that a lost executor costs no second probe."""
+    spread = sharded(bind(with_beam(queries, efs), plan), placed)
+    first = kept(_stage(spread, placed, graphs, roles_of, k, "first"))
     hits = first.where("vec_id is not null").select("qid", "vec_id", "dist")
     kth = best(hits, k=k).where(F.col("rank") == k).select("qid", F.col("dist").alias("bound"))
     open_ = first.where("vec_id is null and not final").join(kth, "qid", "left").withColumn("bound", F.coalesce("bound", F.lit(math.inf)))
-    live = open_.where("bound > kth")
-    again = bind(queries, plan).join(live.select("qid", "unit_id", "bound").groupBy("qid", "unit_id").agg(F.max("bound").alias("bound")), ["qid", "unit_id"])
-    second = _stage(again, placed, graphs, roles_of, k, efs, "rest")
+    live = open_.where("bound > kth").select("qid", "unit_id", "shard", "bound", "state")
+    again = spread.join(live, ["qid", "unit_id", "shard"])
+    second = kept(_stage(again, placed, graphs, roles_of, k, "rest"))
     result = best(hits.union(second.where("vec_id is not null").select("qid", "vec_id", "dist")), k=k)
+    total = first.where("vec_id is null").groupBy("qid").agg(F.sum("work").alias("work"), F.sum("seconds").alias("seconds"))
     seen = open_.groupBy("qid").agg(F.count("*").alias("impure"), F.sum(F.when(F.col("bound") <= F.col("kth"), 1).otherwise(0)).alias("skipped"), F.sum("inflated").alias("inflated"))
-    spent = second.where("vec_id is null").groupBy("qid").agg(F.sum("spent").alias("spent"))
-    return result, seen.join(spent, "qid", "left").fillna(0, ["spent"])
+    more = second.where("vec_id is null").groupBy("qid").agg(F.sum("spent").alias("spent"), F.sum("work").alias("more_work"), F.sum("seconds").alias("more_seconds"))
+    counters = total.join(seen, "qid", "left").join(more, "qid", "left").fillna(0)
+    return result, counters.select("qid", "impure", "skipped", "inflated", "spent", (F.col("work") + F.col("more_work")).alias("work"), (F.col("seconds") + F.col("more_seconds")).alias("seconds"))
 
 
 def leak_check(result: DataFrame, queries: DataFrame, tags: DataFrame) -> DataFrame:

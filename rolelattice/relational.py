@@ -1,6 +1,6 @@
 """The relational surface around the methods, each operation on the given tables, with its DuckDB counterpart."""
 
-import tempfile
+import uuid
 from collections.abc import Callable
 
 import pandas as pd
@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from .core_queries import _with, blocks_of, tags_of
 from .functions import vectors as fv
 from .sources.tables import letter_profile, table
+from .storage import scratch
 
 Q: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 SQL: dict[str, str] = {}
@@ -26,16 +27,6 @@ def _q(name: str, sql: str | None = None):  # noqa: ANN202
     return add
 
 
-def scratch(spark: SparkSession) -> str:
-    """A folder that all executors share."""
-    sc = spark.sparkContext
-    if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="checkpoints-"))
-    import uuid
-
-    return f"{sc.getCheckpointDir()}/{uuid.uuid4().hex}"
-
-
 # sources and sinks
 _q("scan_parquet_pruned", "SELECT l_orderkey, l_quantity FROM lineitem WHERE l_quantity > 45")(lambda s, d: table(s, d, "lineitem").where("l_quantity > 45").select("l_orderkey", "l_quantity"))
 for _f in ("csv", "json", "orc"):
@@ -68,6 +59,42 @@ _q("filter_tag_overlap", _with("A") + "SELECT vec_id FROM tags WHERE len(list_in
 _q("project_case", "SELECT o_orderkey, CASE WHEN o_totalprice > 200000 THEN 'high' WHEN o_totalprice > 100000 THEN 'mid' ELSE 'low' END AS band FROM orders")(lambda s, d: table(s, d, "orders").select("o_orderkey", F.when(c("o_totalprice") > 200000, "high").when(c("o_totalprice") > 100000, "mid").otherwise("low").alias("band")))
 _q("project_cast", "SELECT c_custkey, CAST(floor(c_acctbal) AS BIGINT) AS whole, CAST(c_nationkey AS VARCHAR) AS nation FROM customer")(lambda s, d: table(s, d, "customer").select("c_custkey", F.floor("c_acctbal").cast("long").alias("whole"), c("c_nationkey").cast("string").alias("nation")))
 
+@_q("sink_bucketed", "SELECT c_nationkey, count(*) AS n FROM orders JOIN customer ON o_custkey = c_custkey GROUP BY 1")
+def bucketed(s: SparkSession, d: str) -> DataFrame:
+    """Both sides written in buckets by their key: the join then needs no exchange."""
+    name = f"b{uuid.uuid4().hex}"
+    for t, k in (("orders", "o_custkey"), ("customer", "c_custkey")):
+        table(s, d, t).write.bucketBy(8, k).sortBy(k).option("path", scratch(s)).saveAsTable(f"{name}_{t}")
+    both = s.table(f"{name}_orders").join(s.table(f"{name}_customer").hint("merge"), c("o_custkey") == c("c_custkey"))
+    return both.groupBy("c_nationkey").agg(F.count("*").alias("n"))
+
+
+@_q("sink_append", "SELECT n_nationkey, n_name FROM nation")
+def appended(s: SparkSession, d: str) -> DataFrame:
+    """Two appends to one table."""
+    path = scratch(s)
+    for even in (True, False):
+        table(s, d, "nation").where((c("n_nationkey") % 2 == 0) == F.lit(even)).select("n_nationkey", "n_name").write.mode("append").parquet(path)
+    return s.read.parquet(path)
+
+
+@_q("sink_overwrite_partitions", "SELECT n_regionkey, n_nationkey, n_regionkey = 2 AS fresh FROM nation")
+def overwritten(s: SparkSession, d: str) -> DataFrame:
+    """Only the partitions that new rows fall in are replaced."""
+    path = scratch(s)
+    rows = table(s, d, "nation").select("n_nationkey", "n_regionkey")
+    rows.withColumn("fresh", F.lit(False)).write.partitionBy("n_regionkey").parquet(path)
+    rows.where("n_regionkey = 2").withColumn("fresh", F.lit(True)).write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy("n_regionkey").parquet(path)
+    return s.read.parquet(path).select("n_regionkey", "n_nationkey", "fresh")
+
+
+# samples
+_q("sample_hash", "SELECT o_orderkey FROM orders WHERE CAST('0x' || substr(md5(CAST(o_orderkey AS VARCHAR)), 1, 8) AS BIGINT) % 100 < 10")(lambda s, d: table(s, d, "orders").select("o_orderkey").where(F.conv(F.substring(F.md5(c("o_orderkey").cast("string")), 1, 8), 16, 10).cast("long") % 100 < 10))
+_q("sample_strata", "SELECT o_orderpriority, o_orderkey FROM orders WHERE CAST('0x' || substr(md5(CAST(o_orderkey AS VARCHAR)), 1, 8) AS BIGINT) % 100 < CASE o_orderpriority WHEN '1-URGENT' THEN 50 ELSE 5 END")(lambda s, d: table(s, d, "orders").select("o_orderpriority", "o_orderkey").where(F.conv(F.substring(F.md5(c("o_orderkey").cast("string")), 1, 8), 16, 10).cast("long") % 100 < F.when(c("o_orderpriority") == "1-URGENT", 50).otherwise(5)))
+_q("sample_bernoulli")(lambda s, d: table(s, d, "orders").sample(0.1, 7).agg(F.count("*").alias("n")))
+_q("sample_by")(lambda s, d: table(s, d, "orders").sampleBy("o_orderpriority", {"1-URGENT": 0.5}, 7).groupBy("o_orderpriority").agg(F.count("*").alias("n")))
+
+
 # joins
 _ORD = "SELECT o_orderkey, c_nationkey FROM orders JOIN customer ON o_custkey = c_custkey"
 for _h in ("merge", "shuffle_hash", "broadcast"):
@@ -268,6 +295,26 @@ def udtf_partitions(s: SparkSession, d: str) -> DataFrame:
     return s.sql("SELECT c.n, count(*) AS parts FROM range(2, 6) r, LATERAL two_cuts(r.id) c GROUP BY c.n")
 
 
+@_q("udtf_topk", "SELECT o_custkey, o_orderkey FROM (SELECT o_custkey, o_orderkey, row_number() OVER (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey) AS r FROM orders) WHERE r <= 2")
+def udtf_topk(s: SparkSession, d: str) -> DataFrame:
+    """A table function over the sorted rows of each partition of its argument that keeps the first two."""
+
+    @F.udtf(returnType="o_custkey bigint, o_orderkey bigint")
+    class First:
+        def __init__(self) -> None:
+            self.n = 0
+
+        def eval(self, row) -> object:  # noqa: ANN001
+            self.n += 1
+            if self.n <= 2:
+                yield row["o_custkey"], row["o_orderkey"]
+
+    s.udtf.register("first_two", First)
+    name = f"o{uuid.uuid4().hex}"
+    table(s, d, "orders").select("o_custkey", "o_orderkey", "o_totalprice").createOrReplaceTempView(name)
+    return s.sql(f"SELECT * FROM first_two(TABLE({name}) PARTITION BY o_custkey ORDER BY (o_totalprice DESC, o_orderkey))")
+
+
 # SQL surface
 def sql(s: SparkSession, d: str, text: str, **args: object) -> DataFrame:
     """Run SQL over views of the given tables."""

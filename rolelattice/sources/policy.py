@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import string
 from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -59,10 +60,17 @@ def _roles(*when: tuple[int, Column]) -> Column:
     return F.array_compact(F.array(*[F.when(cond, F.lit(r)) for r, cond in when]))
 
 
-def zipf_roles(vec_id: Column, z: Zipf) -> Column:
-    u = (vec_id * 7919 + 13) % CUT
-    block = F.size(F.filter(F.array(*[F.lit(x) for x in z.limits()]), lambda x: x <= u))
-    return F.element_at(F.array(*[F.array(*[F.lit(r) for r in own]) for own in z.roles_of()]), block + 1)
+def spread(vec_id: Column) -> Column:
+    """A number below CUT for each id."""
+    return (vec_id % CUT * 7919 + 13) % CUT
+
+
+def zipf_tags(rows: DataFrame, z: Zipf) -> DataFrame:
+    """vec_id, roles: the block of each id by its spread number. The table of all CUT numbers is worked out once and told to all tasks."""
+    block = F.size(F.filter(F.array(*[F.lit(x) for x in z.limits()]), lambda x: x <= F.col("_u")))
+    owners = F.element_at(F.array(*[F.array(*[F.lit(r) for r in own]) for own in z.roles_of()]), block + 1)
+    codes = rows.sparkSession.range(CUT).withColumnRenamed("id", "_u").withColumn("roles", owners)
+    return rows.select("vec_id", spread(F.col("vec_id")).alias("_u")).join(F.broadcast(codes), "_u").select("vec_id", "roles")
 
 
 def tags(spark: SparkSession, sf_dir: str, policy: str) -> DataFrame:
@@ -87,8 +95,8 @@ def tags(spark: SparkSession, sf_dir: str, policy: str) -> DataFrame:
         pairs = [(i, c("lang") == x) for i, x in enumerate(LANGS)] + [(4 + g, group == g) for g in range(8)] + [(12, c("toxic") == 1), (13, c("quality") == 1)]
         return docs.select(c("doc_id").alias("vec_id"), _roles(*pairs).alias("roles"))
     if policy == "D":
-        return emb_ids(spark, sf_dir).select("vec_id", zipf_roles(c("vec_id"), D).alias("roles"))
-    return lin_ids(spark, sf_dir).select("vec_id", zipf_roles(c("vec_id"), E).alias("roles"))
+        return zipf_tags(emb_ids(spark, sf_dir), D)
+    return zipf_tags(lin_ids(spark, sf_dir), E)
 
 
 def vectors(spark: SparkSession, sf_dir: str, policy: str) -> DataFrame:
@@ -96,7 +104,7 @@ def vectors(spark: SparkSession, sf_dir: str, policy: str) -> DataFrame:
     return make(spark, sf_dir).select("vec_id", "embedding")
 
 
-_LIN_IDS = "(SELECT *, row_number() OVER (ORDER BY l_orderkey, l_partkey, l_suppkey, l_linenumber, l_shipdate, l_extendedprice) - 1 AS vec_id FROM lineitem)"
+_LIN_IDS = "(SELECT *, CAST('0x' || substr(md5(concat_ws('|', l_orderkey, l_partkey, l_suppkey, l_linenumber)), 1, 15) AS BIGINT) AS vec_id FROM lineitem)"
 
 
 def grants_sql(policy: str) -> str:
@@ -118,4 +126,14 @@ def grants_sql(policy: str) -> str:
     z, source = (D, "embeddings") if policy == "D" else (E, _LIN_IDS)
     limits = z.limits()
     values = ", ".join(f"({lo}, {hi}, {r})" for lo, hi, own in zip([0, *limits], limits, z.roles_of(), strict=False) for r in own)
-    return f"SELECT vec_id, role_id FROM {source} JOIN (VALUES {values}) AS z(lo, hi, role_id) ON (vec_id * 7919 + 13) % {CUT} >= lo AND (vec_id * 7919 + 13) % {CUT} < hi"
+    return f"SELECT vec_id, role_id FROM {source} JOIN (VALUES {values}) AS z(lo, hi, role_id) ON (vec_id % {CUT} * 7919 + 13) % {CUT} >= lo AND (vec_id % {CUT} * 7919 + 13) % {CUT} < hi"
+
+
+def vectors_sql(policy: str) -> str:
+    """DuckDB: vec_id, embedding of a policy's vectors."""
+    if policy in "AD":
+        return "SELECT vec_id, embedding FROM embeddings"
+    if policy == "C":
+        letters = ", ".join(f"(length(text) - length(replace(lower(text), '{x}', ''))) / greatest(length(text), 1)" for x in string.ascii_lowercase)
+        return f"SELECT doc_id AS vec_id, [{letters}] AS embedding FROM documents WHERE text IS NOT NULL"
+    return f"SELECT vec_id, [l_quantity / 50, l_extendedprice / 105000, l_discount / 0.1, l_tax / 0.08, l_linenumber / 7, month(l_shipdate) / 12, day(l_shipdate) / 31, (l_partkey % 1000) / 1000] AS embedding FROM {_LIN_IDS}"

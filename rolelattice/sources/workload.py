@@ -9,18 +9,23 @@ from .policy import CUT
 from .tables import table
 
 
-def positions(tags: DataFrame) -> DataFrame:
-    """role_id, pos, vec_id: what each role may read, numbered by id."""
-    each = tags.select("vec_id", F.explode("roles").alias("role_id"))
-    return each.withColumn("pos", F.row_number().over(Window.partitionBy("role_id").orderBy("vec_id")) - 1)
+#: What a role may read is counted in so many slices of ids; only the slices that queries point at are sorted.
+SLICES = 4096
 
 
 def single_role(spark: SparkSession, tags: DataFrame, blocks: DataFrame, roles: list[int], n: int = 100) -> DataFrame:
-    """qid, role_id, vec_id: roles in turn; the vector at a spread position among what the role may read."""
+    """qid, role_id, vec_id: roles in turn; the vector at a spread position among what the role may read, ordered by slice and id."""
     sizes = blocks.select(F.explode("roles").alias("role_id"), "n").groupBy("role_id").agg(F.sum("n").alias("n"))
     q = spark.range(n).select(F.col("id").alias("qid"), F.element_at(F.array(*[F.lit(r) for r in roles]), (F.col("id") % len(roles) + 1).cast("int")).alias("role_id"))
-    at = q.join(sizes, "role_id").withColumn("pos", (F.col("qid") * 7919) % F.col("n"))
-    return at.join(positions(tags), ["role_id", "pos"]).select("qid", "role_id", "vec_id")
+    at = q.join(sizes, "role_id").select("qid", "role_id", ((F.col("qid") * 7919) % F.col("n")).alias("pos"))
+    each = tags.select("vec_id", (F.col("vec_id") % SLICES).alias("slice"), F.explode("roles").alias("role_id"))
+    w = Window.partitionBy("role_id").orderBy("slice")
+    counts = each.groupBy("role_id", "slice").agg(F.count("*").alias("c")).withColumn("upto", F.sum("c").over(w))
+    hit = at.join(counts, "role_id").where("pos >= upto - c and pos < upto").select("qid", "role_id", "slice", F.expr("pos - upto + c").alias("nth"))
+    # as many rows as there are queries
+    near = each.join(F.broadcast(hit.select("role_id", "slice").distinct()), ["role_id", "slice"])
+    near = near.withColumn("nth", F.row_number().over(Window.partitionBy("role_id", "slice").orderBy("vec_id")).cast("long") - 1)
+    return near.join(F.broadcast(hit), ["role_id", "slice", "nth"]).select("qid", "role_id", "vec_id")
 
 
 def _u(qid: F.Column) -> F.Column:

@@ -1,8 +1,26 @@
 import os
+import signal
 import sys
 
 import pytest
 
+#: Seconds that one test may take.
+LIMIT = 600
+
+
+@pytest.fixture(autouse=True)
+def limit(request):
+    """Ends a test that takes too long, so that the others still run."""
+
+    def stop(*_):
+        raise TimeoutError(f"{request.node.nodeid} took more than {LIMIT} s")
+
+    before = signal.signal(signal.SIGALRM, stop)
+    signal.alarm(LIMIT)
+    yield
+    signal.alarm(0)
+    signal.signal(signal.SIGALRM, before)
+
 sys.path.insert(0, os.path.dirname(os.path.dirname(os.path.abspath(__file__))))
 
 

@@ -1,30 +1,76 @@
-"""The experiments run on all queries, beams and methods."""
+"""The experiments run on all queries, beams and methods, and show what the methods promise."""
 
+import pytest
 from pyspark.sql import functions as F
 
 from rolelattice import core_queries as cq
+from rolelattice import experiments as ex
+from rolelattice.operators import search as osr
+from rolelattice.plans.state import control, tables
 
 SF = "/root/testdata/sf0.001"
+ALL = {*ex.METHODS, "one_hop", "gamma"}
 
 
 def test_every_query_keeps_a_vector_outside_its_role(spark):
     q, v, t, _ = cq.role_queries(spark, SF, "A")
-    got = cq.outside(q, v, t)
+    got = ex.outside(q, v, t)
     assert {r.qid for r in got.select("qid").collect()} == set(range(100)) and got.count() == 100
     seen = got.select("qid", "roles", F.col("x").alias("embedding")).join(v, "embedding").join(t.select("vec_id", F.col("roles").alias("held")), "vec_id")
     assert seen.where("arrays_overlap(roles, held)").count() == 0
 
 
-def test_all_beams_and_methods(spark):
-    got = {(r.method, r.efs) for r in cq.efs_grid(spark, SF).select("method", "efs").collect()}
-    assert got == {(m, e) for m in ("sweep", "rescoring", "mined", "rolepart", "global", "oracle", "one_hop", "gamma") for e in (10, 50, 100, 300, 500, 1000)}
+def test_rates_of_all_methods(spark):
+    got = {(r.method, r.efs): r for r in ex.rates(spark, SF, "A", (10, 100)).collect()}
+    assert set(got) == {(m, e) for m in ALL for e in (10, 100)}
+    assert all(r.rate > 0 and r.work > 0 for r in got.values())
+    for m in ex.METHODS:
+        assert got[m, 100].recall >= got[m, 10].recall - 0.02 and got[m, 100].recall >= 0.9
+        assert got[m, 100].work >= got[m, 10].work
+    # more pure data touched: less work than one index for all
+    assert got["sweep", 100].work < got["global", 100].work and got["oracle", 100].work < got["global", 100].work
+
+
+@pytest.mark.parametrize("by_size", [False, True])
+def test_role_sets(spark, by_size):
+    rows = ex.multi(spark, SF, "A", by_size).collect()
+    assert {r.method for r in rows} == set(ex.METHODS)
+    assert all(r.recall >= 0.85 for r in rows if r.efs >= 100 and r.method != "global")
+
+
+def test_weighted_roles_keep_all_queries(spark):
+    q, *_, c = ex.weighted_queries(spark, SF, "A")
+    assert q.count() == 100 and q.select("qid").distinct().count() == 100
+    assert len(set(c.weights)) > 1
+
+
+def test_coordination_saves_visits_and_keeps_recall(spark):
+    (r,) = ex.coordination(spark, SF, "A", (1.0,)).collect()
+    assert r.recall_coordinated >= 0.9 and r.recall_coordinated >= r.recall_independent - 0.03
+    assert 0 <= r.skip_rate <= 1 and r.work_coordinated <= r.work_independent * 1.05
+
+
+def test_resumed_search_equals_one_that_never_stopped(spark):
+    import numpy as np
+
+    from rolelattice.operators import hnsw
+
+    v = np.random.default_rng(1).normal(size=(500, 12))
+    g = hnsw.build(np.arange(500), v, m=8, efc=48)
+    for x in v[:10] + 0.05:
+        whole, first = hnsw.Cursor(g, x), hnsw.Cursor(g, x)
+        whole.resume(60)
+        first.resume(25)
+        second = hnsw.Cursor(g, x, first.dump())
+        second.resume(35)
+        assert second.nearest(20) == whole.nearest(20)
 
 
 def test_registered_graphs_are_built_in_full(spark, monkeypatch):
     made = []
     real = cq.graphs
     monkeypatch.setattr(cq, "graphs", lambda placed, m=16, efc=64, seed=1: made.append((m, efc)) or real(placed, m, efc, seed))
-    got = cq.filtered_recall(spark, SF, "A")
+    got = ex.filtered_recall(spark, SF)
     cq.search_with(spark, SF, "A", hnsw=True)
     assert made == [(16, 200), (192, 200), (16, 200)]
     assert {r.variant for r in got.select("variant").collect()} == {"one_hop", "gamma"}
@@ -37,3 +83,29 @@ def test_mined_gets_the_history(spark, monkeypatch):
     cq.search_with(spark, SF, "A", "mined")
     past = {frozenset((r.role_id,)): r.past for r in cq.Q["w_history_A"](spark, SF).collect() if r.past}
     assert [dict(h) for h in seen] == [past] and len(set(past.values())) > 1
+
+
+def test_searches_read_shards_of_bounded_size(spark):
+    """Units spread over many shards give what one shard gives."""
+    from rolelattice.operators.layout import place
+
+    q, v, t, b = cq.role_queries(spark, SF, "A")
+    c = control(b, cq.M, cq.EFS)
+    held, plan = tables(spark, c, cq.layout_of(c, "sweep", 1.1, 40))
+    want = osr.exact(q, v, t, b).select("qid", "rank", "vec_id").collect()
+    assert sorted(osr.exact(q, v, t, b, rows=20).select("qid", "rank", "vec_id").collect()) == sorted(want)
+    many = place(v, t, b, held, shard_rows=30)
+    assert many.select("shard").distinct().count() > 3
+    assert sorted(osr.independent(q, plan, many, c.roles).select("qid", "rank", "vec_id").collect()) == sorted(want)
+
+
+def test_cost_model_from_measurements(spark):
+    rows = {r.unit: r for r in ex.calibrated(spark, SF).collect()}
+    assert rows["distances"].r2_linear > 0.8 and rows["distances"].b > 0
+    assert rows["seconds"].crossover > 1
+
+
+def test_changed_grants_touch_some_units_only(spark):
+    rows = ex.rebuilt(spark, SF).collect()
+    assert sum(r.vectors for r in rows) >= cq.blocks_of(spark, SF, "A").agg(F.sum("n")).first()[0]
+    assert any(r.dirty for r in rows)

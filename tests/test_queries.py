@@ -9,7 +9,7 @@ DIR = "/root/testdata/sf0.001"
 KEYS = [
     "m_blocks_A", "m_blocks_D", "m_edges_D", "m_related_D", "m_copy_scores_D", "m_merge_scores_D", "m_two_way_best_A", "m_inflation_D", "m_mandatory_D", "x_oracle_sa_C", "x_qa_exclusive_D",
     "w_single_D", "w_multi_weighted_D", "search_exact_A", "search_units_sweep_D", "search_coordinated_D", "search_leaks_D", "join_asof_grant", "join_interval_validity", "agg_cube", "win_range_frame_time",
-    "vec_cosine", "scan_partitioned_layout", "stream_tumbling", "stream_policy_apply", "udtf_partitions",
+    "w_single_E", "search_exact_C", "search_exact_E", "search_units_sweep_E", "search_coordinated_C", "m_maintain_blocks_A", "m_crossover_A", "sample_hash", "sample_strata", "sink_bucketed", "sink_append", "sink_overwrite_partitions", "udtf_topk", "vec_cosine", "scan_partitioned_layout", "stream_tumbling", "stream_policy_apply", "udtf_partitions",
 ]
 
 
@@ -48,9 +48,9 @@ def plan(df):
 
 
 def test_block_sizes_do_not_read_vectors(spark):
-    from rolelattice.core_queries import blocks_of
+    from rolelattice.core_queries import ob, tags_of
 
-    assert "embedding:array" not in plan(blocks_of(spark, DIR, "D"))
+    assert "embedding:array" not in plan(ob.exclusive_blocks(tags_of(spark, DIR, "D")))
 
 
 def test_filters_reach_the_scan(spark):
