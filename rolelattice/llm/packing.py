@@ -170,6 +170,22 @@ def first_basis(left: np.ndarray, size: np.ndarray, capacity: int) -> tuple[np.n
     return columns, x
 
 
+def inverted(a: np.ndarray) -> np.ndarray:
+    """The inverse by elimination in plain array operations: threads of a linear algebra library that was loaded before the
+    JVM was forked off can wait forever on a driver."""
+    n = len(a)
+    work = np.concatenate([a.astype(float), np.eye(n)], axis=1)
+    for k in range(n):
+        p = k + int(np.abs(work[k:, k]).argmax())
+        if p != k:
+            work[[k, p]] = work[[p, k]]
+        work[k] /= work[k, k]
+        rows = np.flatnonzero(work[:, k])
+        rows = rows[rows != k]
+        work[rows] -= work[rows, k][:, None] * work[k]
+    return work[:, n:]
+
+
 def solve(demand: np.ndarray, capacity: int, gap: float = 2e-3, rounds: int = 4000) -> list[tuple[np.ndarray, int]]:
     """Patterns with whole numbers of uses that together hold exactly `demand` (pieces of class i have size i + 1)."""
     have = np.flatnonzero(demand > 0)
@@ -178,7 +194,7 @@ def solve(demand: np.ndarray, capacity: int, gap: float = 2e-3, rounds: int = 40
     m = len(have)
     size = have + 1
     columns, x = first_basis(demand[have].astype(float), size, capacity)
-    inverse = np.linalg.inv(columns)
+    inverse = inverted(columns)
     center, bound = size / capacity, float(demand[have] @ size) / capacity  # duals that are feasible, and the sequences they prove necessary
     blend = 0.8
     for _ in range(rounds):
@@ -197,7 +213,7 @@ def solve(demand: np.ndarray, capacity: int, gap: float = 2e-3, rounds: int = 40
         if not gain:
             break
         a = counts[have].astype(float)
-        d = inverse @ a
+        d = np.einsum("ij,j->i", inverse, a)
         pos = d > 1e-9
         ratio = np.where(pos, x / np.where(pos, d, 1), np.inf)
         out = int(ratio.argmin())

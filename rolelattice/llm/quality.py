@@ -77,7 +77,7 @@ def fit(texts: list[bytes], y: np.ndarray, alpha: float = 0.3, beta: float = 1.0
             x = x * 4
             w = weights(z[i], n[i])
             b = -zb / ((beta + np.sqrt(nb)) / alpha)
-            g = 1 / (1 + np.exp(-np.clip(w @ x + b, -30, 30))) - y[k]
+            g = 1 / (1 + np.exp(-np.clip((w * x).sum() + b, -30, 30))) - y[k]
             gi = g * x
             z[i] += gi - (np.sqrt(n[i] + gi**2) - np.sqrt(n[i])) / alpha * w
             n[i] += gi**2

@@ -115,6 +115,12 @@ def least_sequences(demand, capacity):
     return best
 
 
+def test_inverse():
+    r = np.random.default_rng(2)
+    a = np.triu(r.integers(1, 5, (60, 60)).astype(float))[r.permutation(60)]
+    np.testing.assert_allclose(np.einsum("ij,jk->ik", packing.inverted(a), a), np.eye(60), atol=1e-8)
+
+
 def test_cutting_stock_wastes_little():
     for d, capacity in ((np.random.default_rng(1).integers(0, 300, 128), 128), (np.r_[np.random.default_rng(2).integers(0, 900, 40), np.zeros(88, np.int64)], 128)):
         used = sum(n for _, n in packing.solve(d, capacity))
