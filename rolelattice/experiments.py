@@ -226,23 +226,28 @@ for _p in "AD":
 
 
 # coordinated against independent search
-def coordination(s: SparkSession, d: str, p: str, budgets: Iterable[float] = (1.0, 1.1, 1.5)) -> DataFrame:
-    """budget, skip rate, beam reduction, and recall and work of coordinated and independent search on graphs."""
+def coordination(s: SparkSession, d: str, p: str, methods: Iterable[str] = ("rescoring", "sweep"), betas: Iterable[float] = (1.0, 1.1, 1.5)) -> DataFrame:
+    """method, budget, skip rate, beam reduction, and recall and work of coordinated and independent search on graphs.
+
+    All that is left after merging has a graph; the sweep merges below its threshold only, so it gets a high one for that phase."""
     q, v, t, b = cq.role_queries(s, d, p)
     c, n, out = control(b, M, EFS), q.count(), None
     truth = kept(osr.exact(q, v, t, b))
-    for beta in budgets:
-        # with a threshold of 0 all that merging leaves has a graph, so that there are impure ones to probe
-        held, plan = tables(s, c, sweep.run(c, beta, 0))
-        placed = kept(place(v, t, b, held))
-        g = kept(graphs(placed, efc=EFC))
-        result, counters = osr.coordinated(q, plan, placed, c.roles, g, K, EFS)
-        alone = kept(osr.visits(q, plan, placed, c.roles, g, K, EFS))
-        one = om.recall(result, truth).withColumnRenamed("recall", "recall_coordinated")
-        two = om.recall(osr.best(alone.where("vec_id is not null").select("qid", "vec_id", "dist"), k=K), truth).withColumnRenamed("recall", "recall_independent")
-        both = om.coordination(counters).crossJoin(one).crossJoin(two).crossJoin(counters.agg((F.sum("work") / n).alias("work_coordinated"))).crossJoin(alone.agg((F.sum("work") / n).alias("work_independent")))
-        both = both.select(F.lit(float(beta)).alias("budget"), "*")
-        out = both if out is None else out.union(both)
+    for method in methods:
+        for beta in betas:
+            layout = cq.layout_of(c, method, beta, 0 if method == "rescoring" else 5 * cq.THRESHOLD[p])
+            for unit in layout.units.values():
+                unit.indexed = True
+            held, plan = tables(s, c, layout)
+            placed = kept(place(v, t, b, held))
+            g = kept(graphs(placed, efc=EFC))
+            result, counters = osr.coordinated(q, plan, placed, c.roles, g, K, EFS)
+            alone = kept(osr.visits(q, plan, placed, c.roles, g, K, EFS))
+            one = om.recall(result, truth).withColumnRenamed("recall", "recall_coordinated")
+            two = om.recall(osr.best(alone.where("vec_id is not null").select("qid", "vec_id", "dist"), k=K), truth).withColumnRenamed("recall", "recall_independent")
+            both = om.coordination(counters).crossJoin(one).crossJoin(two).crossJoin(counters.agg((F.sum("work") / n).alias("work_coordinated"))).crossJoin(alone.agg((F.sum("work") / n).alias("work_independent")))
+            both = both.select(F.lit(method).alias("method"), F.lit(float(beta)).alias("budget"), "*")
+            out = both if out is None else out.union(both)
     return out
 
 

@@ -41,20 +41,29 @@ def exact(queries: DataFrame, vectors: DataFrame, tags: DataFrame, blocks: DataF
 
     def scan(qs, vs):  # noqa: ANN001, ANN202
         import numpy as np
-        import pandas as pd
+        import pyarrow as pa
 
-        if not len(qs) or not len(vs):
-            return pd.DataFrame({"qid": [], "vec_id": [], "dist": []})
-        v, ids, out = np.stack(vs["embedding"].to_list()).astype(float), vs["vec_id"].to_numpy(), []
-        for q, x in zip(qs["qid"], qs["x"], strict=True):
-            d = ((v - np.asarray(x, float)) ** 2).sum(1)
-            near = np.flatnonzero(d <= np.partition(d, k - 1)[k - 1]) if len(d) > k else np.arange(len(d))
-            top = near[np.lexsort((ids[near], d[near]))][:k]
-            out.append((np.full(len(top), q), ids[top], d[top]))
-        return pd.DataFrame(dict(zip(("qid", "vec_id", "dist"), map(np.concatenate, zip(*out, strict=True)), strict=True)))
+        out = []
+        if qs.num_rows and vs.num_rows:
+            v, x, ids = matrix(vs["embedding"]), matrix(qs["x"]), vs["vec_id"].to_numpy()
+            for q, one in zip(qs["qid"].to_pylist(), x, strict=True):
+                d = ((v - one) ** 2).sum(1)
+                near = np.flatnonzero(d <= np.partition(d, k - 1)[k - 1]) if len(d) > k else np.arange(len(d))
+                top = near[np.lexsort((ids[near], d[near]))][:k]
+                out.append((np.full(len(top), q), ids[top], d[top]))
+        cols = [np.concatenate(c) for c in zip(*out, strict=True)] if out else [[], [], []]
+        return pa.table([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.float64()), strict=True)], names=["qid", "vec_id", "dist"])
 
     held = held.select(*[F.col(x).alias(x) for x in held.columns])  # both sides stem from the blocks
-    return best(spread.groupBy("block_id", "shard").cogroup(held.groupBy("block_id", "shard")).applyInPandas(scan, HITS), k=k)
+    return best(spread.groupBy("block_id", "shard").cogroup(held.groupBy("block_id", "shard")).applyInArrow(scan, HITS), k=k)
+
+
+def matrix(column):  # noqa: ANN001, ANN201
+    """Lists of equal length as the rows of a matrix of doubles."""
+    import numpy as np
+
+    flat = column.combine_chunks().flatten()
+    return np.asarray(flat.to_numpy(zero_copy_only=False), np.float64).reshape(len(column), -1)
 
 
 def bind(queries: DataFrame, plan: DataFrame) -> DataFrame:

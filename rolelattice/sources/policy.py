@@ -66,10 +66,11 @@ def spread(vec_id: Column) -> Column:
 
 
 def zipf_tags(rows: DataFrame, z: Zipf) -> DataFrame:
-    """vec_id, roles: the block of each id by its spread number. The table of all CUT numbers is worked out once and told to all tasks."""
-    block = F.size(F.filter(F.array(*[F.lit(x) for x in z.limits()]), lambda x: x <= F.col("_u")))
-    owners = F.element_at(F.array(*[F.array(*[F.lit(r) for r in own]) for own in z.roles_of()]), block + 1)
-    codes = rows.sparkSession.range(CUT).withColumnRenamed("id", "_u").withColumn("roles", owners)
+    """vec_id, roles: the block of each id by its spread number. A row for each of the CUT numbers is told to all tasks."""
+    limits = z.limits()
+    blocks = list(zip([0, *limits], limits, z.roles_of(), strict=False))
+    spans = rows.sparkSession.createDataFrame([b for b in blocks if b[0] < b[1]], "lo bigint, hi bigint, roles array<int>")
+    codes = spans.select(F.explode(F.sequence("lo", F.col("hi") - 1)).alias("_u"), "roles")
     return rows.select("vec_id", spread(F.col("vec_id")).alias("_u")).join(F.broadcast(codes), "_u").select("vec_id", "roles")
 
 

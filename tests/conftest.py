@@ -2,6 +2,9 @@ import os
 import signal
 import sys
 
+# threads of numpy's linear algebra do not survive the fork of the JVM
+os.environ.setdefault("OPENBLAS_NUM_THREADS", "1")
+
 import pytest
 
 #: Seconds that one test may take.

@@ -45,7 +45,7 @@ def test_weighted_roles_keep_all_queries(spark):
 
 
 def test_coordination_saves_visits_and_keeps_recall(spark):
-    (r,) = ex.coordination(spark, SF, "A", (1.0,)).collect()
+    (r,) = ex.coordination(spark, SF, "A", ("rescoring",), (1.0,)).collect()
     assert r.recall_coordinated >= 0.9 and r.recall_coordinated >= r.recall_independent - 0.03
     assert 0 <= r.skip_rate <= 1 and r.work_coordinated <= r.work_independent * 1.05
 
