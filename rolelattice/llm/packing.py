@@ -27,6 +27,8 @@ END_ID = 1
 CACHE_WORDS = 800_000
 #: Punctuation that this tokenizer keeps apart from the letters before it (an apostrophe may join them).
 _MARKS = b"!#$%&*,.:;?|"
+#: Letters up to U+00FF that normal forms replace.
+_FOLDED = frozenset("\xaa\xb5\xba")
 
 PIECES = "doc_id bigint, start bigint, length bigint, ids_crc32 bigint, doc_tokens bigint"
 
@@ -57,18 +59,26 @@ class Ids(dict):
             held[path] = Ids(path)
         return held[path]
 
+    @staticmethod
+    def plain(text: str) -> bool:
+        """Letters of the first two Unicode blocks without those that stand for others: their lower case is one letter each."""
+        return text.isalpha() and (text.isascii() or max(text) <= "\xff" and not _FOLDED.intersection(text))
+
     def parts_of(self, word: bytes) -> tuple[bytes, bytes]:
         """The letters that are looked up for a word, and the punctuation after them; (word, nothing) for other words."""
         core = word.rstrip(_MARKS)
-        if core.isascii() and core.isalpha():
-            return core.lower(), word[len(core) :]
+        if core.isascii():
+            if core.isalpha():
+                return core.lower(), word[len(core) :]
+        elif self.plain(t := core.decode("utf-8", "replace")):
+            return t.lower().encode(), word[len(core) :]
         return word, b""
 
     def learn(self, words: set[bytes]) -> None:
         """Encode what is not known yet: words of letters in one text, in which each is one pre-token; others one by one."""
         made = {w: self.parts_of(w) for w in words}
         new = {p for both in made.values() for p in both if p and p not in self}
-        letters = [w for w in new if (t := w.decode("utf-8", "replace")).isalpha() and t.isascii()]
+        letters = [w for w in new if self.plain(w.decode("utf-8", "replace"))]
         for at in range(0, len(letters), 2000):
             some = letters[at : at + 2000]
             e = self.tokenizer.encode(b" ".join(some).decode(), add_special_tokens=False)
