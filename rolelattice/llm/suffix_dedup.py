@@ -65,7 +65,7 @@ def _signed(h: np.ndarray) -> pa.Array:
 
 
 def stretches(docs: DataFrame) -> DataFrame:
-    """_id, _key, a, b, h, s: window starts a to b (bytes) of a text with a common anchor, hashes of the anchor's context and of all bytes of the stretch."""
+    """_id, _key, a, b, at, h, s: window starts a to b (bytes) of a text with a common anchor at a + at, hashes of the anchor's context and of all bytes of the stretch."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for rows, raw, offs in chunks(batches, "_body"):
@@ -76,9 +76,9 @@ def stretches(docs: DataFrame) -> DataFrame:
             pre = prefix_hash(raw)
             h, s = span_hash(pre, p, p + CONTEXT), span_hash(pre, a, b + LENGTH)
             take = pa.array(doc)
-            yield pa.RecordBatch.from_arrays([rows.column(0).take(take), rows.column(1).take(take), pa.array((a - offs[doc]).astype(np.int32)), pa.array((b - offs[doc]).astype(np.int32)), _signed(h), _signed(s ^ mix((b - a).astype(np.uint64)))], ["_id", "_key", "a", "b", "h", "s"])
+            yield pa.RecordBatch.from_arrays([rows.column(0).take(take), rows.column(1).take(take), pa.array((a - offs[doc]).astype(np.int32)), pa.array((b - offs[doc]).astype(np.int32)), pa.array((p - a).astype(np.int32)), _signed(h), _signed(s ^ mix((b - a).astype(np.uint64)))], ["_id", "_key", "a", "b", "at", "h", "s"])
 
-    return docs.select("_id", "_key", "_body").mapInArrow(run, "_id bigint, _key bigint, a int, b int, h bigint, s bigint")
+    return docs.select("_id", "_key", "_body").mapInArrow(run, "_id bigint, _key bigint, a int, b int, at int, h bigint, s bigint")
 
 
 def to_ranges(flags: np.ndarray) -> list[tuple[int, int]]:
@@ -138,8 +138,42 @@ def _found(h: list, s: list, ranges: list) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(h, pa.int64()), pa.array(s, pa.int64()), pa.array([[{"lo": a, "hi": b} for a, b in r] for r in ranges], _RANGES)], ["h", "s", "ranges"])
 
 
+def shared_length(a: bytes, b: bytes) -> int:
+    """Length of the common prefix."""
+    low, high = 0, min(len(a), len(b))
+    if a[:high] == b[:high]:
+        return high
+    while low < high - 1:  # a and b agree up to low and differ before high
+        mid = (low + high) // 2
+        if a[low:mid] == b[low:mid]:
+            low = mid
+        else:
+            high = mid
+    return low
+
+
+def longest_shared(sides: list[bytes]) -> list[int]:
+    """For each the longest prefix that it shares with another one: that with a neighbour in sorted order."""
+    order = sorted(range(len(sides)), key=sides.__getitem__)
+    out = [0] * len(sides)
+    for i, j in zip(order, order[1:], strict=False):
+        n = shared_length(sides[i], sides[j])
+        out[i], out[j] = max(out[i], n), max(out[j], n)
+    return out
+
+
+def may_repeat(group: list[tuple[int, int, bytes]]) -> list[tuple[int, bytes]]:
+    """Of distinct stretches (s, at, body) with one anchor context those that may share a window with another one.
+
+    Equal windows have their anchors at the same place, so the bytes they share lie around the anchor: at most the longest run
+    shared to its left and the longest to its right."""
+    left = longest_shared([body[:at][::-1] for _, at, body in group])
+    right = longest_shared([body[at:] for _, at, body in group])
+    return [(s, body) for (s, _, body), x, y in zip(group, left, right, strict=True) if x + y >= LENGTH]
+
+
 def by_arrays(groups: DataFrame) -> DataFrame:
-    """h, s, body -> h, s, ranges of repeated window starts; a group is whole in one shard, a shard holds groups up to SHARD_BYTES."""
+    """h, s, at, body -> h, s, ranges of repeated window starts; a group is whole in one shard, a shard holds groups up to SHARD_BYTES."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: dict[tuple[int, int], bytes] = {}
@@ -150,19 +184,31 @@ def by_arrays(groups: DataFrame) -> DataFrame:
             got = [(k, r) for k, f in zip(held, flags, strict=True) if (r := to_ranges(f))]
             return _found([k[0] for k, _ in got], [k[1] for k, _ in got], [r for _, r in got])
 
+        group: dict[int, tuple[int, int, bytes]] = {}
+
+        def gather() -> None:
+            nonlocal size
+            kept = may_repeat(list(group.values())) if len(group) > 1 else []
+            for s, body in kept if len(kept) > 1 else ():
+                held[now, s] = body
+                size += len(body)
+            group.clear()
+
         for b in batches:
-            for h, s, body in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2).to_pylist(), strict=True):
-                if h != now and size >= SHARD_BYTES:
-                    yield close()
-                    held, size = {}, 0
-                now = h
-                if (h, s) not in held:
-                    held[h, s] = body
-                    size += len(body)
+            for h, s, at, body in zip(*[b.column(i).to_pylist() for i in range(4)], strict=True):
+                if h != now:
+                    gather()
+                    now = h
+                    if size >= SHARD_BYTES:
+                        yield close()
+                        held.clear()
+                        size = 0
+                group.setdefault(s, (s, at, body))
+        gather()
         if held:
             yield close()
 
-    return groups.repartition(parts(groups.sparkSession), "h").sortWithinPartitions("h", "s").mapInArrow(run, _FOUND)
+    return groups.select("h", "s", "at", "body").repartition(parts(groups.sparkSession), "h").sortWithinPartitions("h", "s").mapInArrow(run, _FOUND)
 
 
 def by_windows(large: DataFrame) -> DataFrame:
@@ -215,11 +261,11 @@ def repeats(docs: DataFrame) -> DataFrame:
     kinds = stored(found.groupBy("h", "s").agg(F.count("*").alias("copies")))
     groups = kinds.groupBy("h").agg(F.count("*").alias("kinds"), F.sum("copies").alias("rows")).where("rows > 1").select("h", "kinds")
     shared = kinds.join(groups, "h").where("kinds > 1 or copies > 1")
-    at = cut(found.join(shared, ["h", "s"]).select("_id", "_key", "a", "b", "h", "s", "kinds", "copies"))
+    at = cut(found.join(shared, ["h", "s"]).select("_id", "_key", "a", "b", "at", "h", "s", "kinds", "copies"))
     alone = at.where("copies > 1").select("_id", "_key", "a", F.array(F.struct(F.lit(0).alias("lo"), (F.col("b") - F.col("a")).alias("hi"))).alias("ranges"))
     # one place of each distinct stretch in a group with several
-    chosen = at.where("kinds > 1").groupBy("h", "s").agg(F.min(F.struct("_id", "_key", "a", "b")).alias("r"), F.first("kinds").alias("kinds"))
-    per_doc = chosen.groupBy(F.col("r._id").alias("_id"), F.col("r._key").alias("_key")).agg(F.collect_list(F.struct("h", "s", F.col("r.a").alias("a"), F.col("r.b").alias("b"), "kinds")).alias("_want"))
+    chosen = at.where("kinds > 1").groupBy("h", "s").agg(F.min(F.struct("_id", "_key", "a", "b", "at")).alias("r"), F.first("kinds").alias("kinds"))
+    per_doc = chosen.groupBy(F.col("r._id").alias("_id"), F.col("r._key").alias("_key")).agg(F.collect_list(F.struct("h", "s", F.col("r.a").alias("a"), F.col("r.b").alias("b"), F.col("r.at").alias("at"), "kinds")).alias("_want"))
 
     def bodies(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -227,10 +273,8 @@ def repeats(docs: DataFrame) -> DataFrame:
             size = 0
             for body, want in zip(b.column(0), b.column(1).to_pylist(), strict=True):
                 text = body.as_buffer().to_pybytes()
-                raw = np.frombuffer(text, np.uint8)
-                place = dict(zip(*[x.tolist() for x in anchors(raw, np.array([0, len(raw)]))[::2]], strict=True)) if any(w["kinds"] > GROUP_MOST for w in want) else {}
                 for w in want:
-                    for col, v in zip(out, (w["h"], w["s"], w["kinds"], place.get(w["a"], w["a"]) - w["a"], text[w["a"] : w["b"] + LENGTH]), strict=True):
+                    for col, v in zip(out, (w["h"], w["s"], w["kinds"], w["at"], text[w["a"] : w["b"] + LENGTH]), strict=True):
                         col.append(v)
                     size += w["b"] - w["a"] + LENGTH
                 if size > 1 << 22:
@@ -242,7 +286,7 @@ def repeats(docs: DataFrame) -> DataFrame:
         return pa.RecordBatch.from_arrays([pa.array(out[0], pa.int64()), pa.array(out[1], pa.int64()), pa.array(out[2], pa.int64()), pa.array(out[3], pa.int32()), pa.array(out[4], pa.binary())], ["h", "s", "kinds", "at", "body"])
 
     held = cut(texts.join(per_doc, ["_id", "_key"]).select("_body", "_want").mapInArrow(bodies, "h bigint, s bigint, kinds bigint, at int, body binary"))
-    judged = by_arrays(held.where(F.col("kinds") <= GROUP_MOST).select("h", "s", "body"))
+    judged = by_arrays(held.where(F.col("kinds") <= GROUP_MOST))
     large = held.where(F.col("kinds") > GROUP_MOST)
     if large.take(1):
         judged = judged.union(by_windows(large))
@@ -280,4 +324,4 @@ def remove(docs: DataFrame) -> DataFrame:
 def op10_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Null and empty texts have no bytes; repeated rows repeat each other; an empty table gives no rows."""
     out = remove(table(spark, sf_dir, "documents").select("doc_id", "text"))
-    return out.select("doc_id", "n_bytes", "n_removed", "n_spans", F.sha2("kept", 256).alias("kept_sha256"))
+    return out.select("doc_id", "n_bytes", "n_removed", "n_spans", F.sha2("kept", 256).alias("kept_sha256"), F.octet_length("kept").cast("long").alias("n_kept"))
