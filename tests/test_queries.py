@@ -56,3 +56,11 @@ def test_block_sizes_do_not_read_vectors(spark):
 def test_filters_reach_the_scan(spark):
     text = plan(entry.queries()["scan_parquet_pruned"](spark, DIR))
     assert "PushedFilters: [IsNotNull(l_quantity), GreaterThan(l_quantity,45.0)]" in text and "l_tax" not in text.split("== Physical Plan ==")[1]
+
+
+def test_streams_leave_their_rows_in_files(spark, con):
+    """The driver holds no rows of a stream's result, which may be as many as the events."""
+    for key in ("stream_session", "stream_dedup", "stream_sliding"):
+        got = entry.queries()[key](spark, DIR)
+        assert "MemoryPlan" not in plan(got) and got.inputFiles()
+        assert rows(got.toPandas()) == rows(con.execute(entry.oracle_sql()[key]).df())
