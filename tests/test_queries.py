@@ -64,3 +64,9 @@ def test_streams_leave_their_rows_in_files(spark, con):
         got = entry.queries()[key](spark, DIR)
         assert "MemoryPlan" not in plan(got) and got.inputFiles()
         assert rows(got.toPandas()) == rows(con.execute(entry.oracle_sql()[key]).df())
+
+
+def test_toy_layouts_read_the_line_items(spark, con):
+    key = "m_toy_layouts"
+    assert "lineitem" in entry.oracle_sql()[key]
+    assert rows(entry.queries()[key](spark, DIR).toPandas()) == rows(con.execute(entry.oracle_sql()[key]).df())
