@@ -70,3 +70,10 @@ def test_toy_layouts_read_the_line_items(spark, con):
     key = "m_toy_layouts"
     assert "lineitem" in entry.oracle_sql()[key]
     assert rows(entry.queries()[key](spark, DIR).toPandas()) == rows(con.execute(entry.oracle_sql()[key]).df())
+
+
+@pytest.mark.parametrize("key", ["range_rows", "udtf_partitions"])
+def test_rows_come_from_a_table(spark, con, key):
+    got = entry.queries()[key](spark, DIR)
+    assert got.inputFiles()
+    assert rows(got.toPandas()) == rows(con.execute(entry.oracle_sql()[key]).df())
