@@ -1,6 +1,7 @@
 """The running example's arithmetic, and the properties that the planners promise, on seeded random lattices."""
 
 import random
+import time
 
 import numpy as np
 import pytest
@@ -143,3 +144,48 @@ def test_graph_recall_resume_and_seed():
         more = cur.resume(20, bound=first[-1][0])
         assert all(a < first[-1][0] for a, _ in more)
     assert hit >= 380
+
+
+def test_links_are_thinned_as_one_by_one():
+    """Side by side as by the plain rule for each row, with fewer neighbours than links, too."""
+    r = np.random.default_rng(11)
+    for wide, m in ((40, 8), (12, 16), (60, 60)):
+        near = r.normal(size=(30, wide, 6)) + 0.4
+        near = np.take_along_axis(near, np.argsort((near**2).sum(2), axis=1)[:, :, None], 1)
+        d = (near**2).sum(2)
+        d[:5, wide // 2 :] = np.inf
+        for row, dist, got in zip(near, d, hnsw.thinned(near, d, m).tolist(), strict=True):
+            kept, rest = [], []
+            for j in np.flatnonzero(np.isfinite(dist)).tolist():
+                if len(kept) < m:
+                    (kept if all(((row[j] - row[i]) ** 2).sum() >= dist[j] for i in kept) else rest).append(j)
+            assert [x for x in got if x >= 0] == kept + rest[: m - len(kept)]
+
+
+def test_graph_of_many_rows_is_built_in_blocks():
+    """8,000 rows in seconds, few and many links: all rows are found again, no place has more links than it may."""
+    v = np.random.default_rng(12).normal(size=(8000, 48))
+    for m, most_seconds in ((16, 30), (192, 60)):
+        began = time.perf_counter()
+        g = hnsw.build(np.arange(8000) * 3, v, m=m, efc=200)
+        assert time.perf_counter() - began < most_seconds
+        assert np.diff(g.levels[0][0]).max() <= 2 * m and all(np.diff(at).max() <= m for at, _ in g.levels[1:])
+        hit = 0
+        for x in v[:50] + 0.02:
+            truth = set(np.argsort(((v - x) ** 2).sum(1))[:10].tolist())
+            hit += len(truth & {i for _, i in hnsw.search(g, x, 10, 300)})
+        assert hit >= 450
+
+
+def test_copies_of_a_vector_do_not_close_the_graph():
+    """A third of the rows is one vector, the entry's among them: others are still found from it."""
+    v = np.random.default_rng(13).normal(size=(900, 12))
+    top = max(range(900), key=lambda i: (hnsw.level_of(i, 16, 1), -i))
+    v[np.arange(top % 3, 900, 3)] = v[top]
+    g = hnsw.build(np.arange(900), v)
+    assert g.entry == top
+    hit = 0
+    for i in range((top + 1) % 3, 150, 3):
+        truth = set(np.argsort(((v - v[i] - 0.01) ** 2).sum(1))[:10].tolist())
+        hit += len(truth & {j for _, j in hnsw.search(g, v[i] + 0.01, 10, 100)})
+    assert hit >= 450
