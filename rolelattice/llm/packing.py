@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import chunks, cut, number, table
+from .common import chunks, cut, number, own, table
 
 SEQUENCE = 2048
 #: Lengths are rounded up to multiples of this in the program.
@@ -51,10 +51,8 @@ class Ids(dict):
 
     @staticmethod
     def of_worker(path: str) -> Ids:
-        """One instance for all tasks that a worker process runs."""
-        import sys
-
-        held = sys.__dict__.setdefault("_word_ids", {})
+        """One instance for all tasks that a worker process runs, until it runs another operator's."""
+        held = own("packing")
         if path not in held:
             held[path] = Ids(path)
         return held[path]
@@ -117,7 +115,7 @@ def pieces(docs: DataFrame, path: str, sequence: int = SEQUENCE) -> DataFrame:
 
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         ids, end = Ids.of_worker(path), np.array([END_ID], "<u4").tobytes()
-        for rows, raw, offs in chunks(batches):
+        for rows, raw, offs in chunks(batches, operator="packing"):
             out: list[list] = [[], [], [], [], []]
             body = raw.tobytes()
             texts = [body[a:b] for a, b in zip(offs[:-1].tolist(), offs[1:].tolist(), strict=True)]
