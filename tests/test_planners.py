@@ -189,3 +189,27 @@ def test_copies_of_a_vector_do_not_close_the_graph():
         truth = set(np.argsort(((v - v[i] - 0.01) ** 2).sum(1))[:10].tolist())
         hit += len(truth & {j for _, j in hnsw.search(g, v[i] + 0.01, 10, 100)})
     assert hit >= 450
+
+
+def test_thinning_leaves_closed_neighbours_alone(monkeypatch):
+    """Products shrink with what is still open, and the links are those of the plain rule."""
+    from rolelattice.operators import hnsw
+
+    v = np.random.default_rng(3).normal(size=(900, 16))
+    near = v[None, 1:301] - v[600:900, None]
+    d = np.einsum("ijk,ijk->ij", near, near)
+    order = np.argsort(d, axis=1)
+    near, d = np.take_along_axis(near, order[:, :, None], 1), np.take_along_axis(d, order, 1)
+    want = []
+    for a, dist in zip(near, d, strict=True):
+        kept = []
+        for j in range(len(a)):
+            if len(kept) < 96 and all(2 * a[j] @ a[i] <= dist[i] for i in kept):
+                kept.append(j)
+        want.append(kept + [j for j in range(len(a)) if j not in kept][: 96 - len(kept)])
+    seen = []
+    real = np.matmul
+    monkeypatch.setattr(hnsw.np, "matmul", lambda a, b: seen.append(a.size) or real(a, b))
+    got = hnsw.thinned(near.copy(), d.copy(), 96)
+    assert got.tolist() == want
+    assert sum(seen) < 0.5 * len(seen) * near.size
