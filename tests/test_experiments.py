@@ -109,3 +109,21 @@ def test_changed_grants_touch_some_units_only(spark):
     rows = ex.rebuilt(spark, SF).collect()
     assert sum(r.vectors for r in rows) >= cq.blocks_of(spark, SF, "A").agg(F.sum("n")).first()[0]
     assert any(r.dirty for r in rows)
+
+
+def test_heavy_shards_are_dealt_to_several_tasks(spark, monkeypatch):
+    """Each query meets its shard's graph once, in one of several tasks, and finds what it finds in one task."""
+    q, v, t, b = cq.role_queries(spark, SF, "A")
+    c = control(b, cq.M, cq.EFS)
+    held, plan = tables(spark, c, cq.layout_of(c, "global", 1.1, 40))
+    placed = ex.kept(ex.place(v, t, b, held))
+    g = ex.kept(ex.graphs(placed))
+    bound = osr.sharded(osr.bind(osr.with_beam(q, 50), plan), placed)
+    one, two = osr.dealt(bound, g, F.col("efs"))
+    met = one.cogroup(two).applyInPandas(lambda key, qs, gs: qs[["qid"]].assign(part=key[2], graphs=len(gs)), "qid bigint, part int, graphs int").collect()
+    assert sorted(r.qid for r in met) == list(range(100)) and all(r.graphs == 1 for r in met)
+    assert 1 < len({r.part for r in met}) <= 2 * spark.sparkContext.defaultParallelism + 1
+    hits = lambda: sorted(osr.independent(q, plan, placed, c.roles, g, 10, 50).select("qid", "rank", "vec_id").collect())
+    many = hits()
+    monkeypatch.setattr(osr, "PART_VISITS", 1 << 30)
+    assert hits() == many
