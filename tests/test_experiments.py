@@ -50,6 +50,30 @@ def test_coordination_saves_visits_and_keeps_recall(spark):
     assert 0 <= r.skip_rate <= 1 and r.work_coordinated <= r.work_independent * 1.05
 
 
+def test_layouts_are_coordinated_in_one_job(spark, monkeypatch):
+    """Each layout's row is what it has alone, and all layouts are searched together."""
+    alone = {(r.method, r.budget): r for m, b in (("rescoring", 1.0), ("sweep", 1.5)) for r in ex.coordination(spark, SF, "A", (m,), (b,)).collect()}
+    calls, real = [], osr.coordinated
+    monkeypatch.setattr(osr, "coordinated", lambda *a, **k: calls.append(1) or real(*a, **k))
+    got = {(r.method, r.budget): r for r in ex.coordination(spark, SF, "A", ("rescoring", "sweep"), (1.0, 1.5)).collect()}
+    assert len(got) == 4 and len(calls) == 1
+    for key, r in alone.items():
+        assert list(got[key]) == pytest.approx(list(r)) if None not in r else list(got[key]) == list(r)
+
+
+def test_units_of_several_layouts_are_placed_once(spark):
+    b = cq.blocks_of(spark, SF, "A")
+    c = control(b, cq.M, cq.EFS)
+    one = cq.layout_of(c, "oracle", 1.1, 40)
+    held, plan = ex.layouts_side_by_side(spark, c, {"x": one, "y": one, "z": cq.layout_of(c, "global", 1.1, 40)})
+    alone, mine = tables(spark, c, one)
+    assert held.count() == alone.count() + b.count()
+    want = sorted((r.qclass, r.unit_id, r.kind, r.pure, r.n) for r in mine.collect())
+    for m in (0, 1):
+        rows = plan.where(F.col("qclass").startswith(f"{m}:")).collect()
+        assert sorted((r.qclass[2:], r.unit_id, r.kind, r.pure, r.n) for r in rows) == want
+
+
 def test_resumed_search_equals_one_that_never_stopped(spark):
     import numpy as np
 
