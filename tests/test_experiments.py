@@ -74,6 +74,44 @@ def test_units_of_several_layouts_are_placed_once(spark):
         assert sorted((r.qclass[2:], r.unit_id, r.kind, r.pure, r.n) for r in rows) == want
 
 
+def test_a_beam_in_arrays_finds_what_single_steps_find(spark):
+    import numpy as np
+
+    from rolelattice.operators import hnsw
+
+    v = np.random.default_rng(2).normal(size=(900, 10))
+    g = hnsw.build(np.arange(900), v, m=8, efc=48)
+    allowed = np.arange(900) % 3 > 0
+    for x in v[:12] + 0.05:
+        near = np.argsort(((v - x) ** 2).sum(1))
+        start = hnsw._entry(g, x)
+        one, done = hnsw._beam(g, x, start, 900, 0), g.work
+        d, at = hnsw._wide(g, x, start[0], 900)
+        # room for all: the same places and distances, and no distance more
+        assert at.tolist() == [i for _, i in one] and d.tolist() == [y for y, _ in one] and g.work - done == len(at) - 1
+        assert [i for _, i in hnsw.search(g, x, 10, 100)] == near[:10].tolist()
+        for two in (True, False):
+            got = hnsw.filtered(g, x, allowed, 10, 200, two)
+            assert all(allowed[i] for _, i in got) and len({i for _, i in got}) == 10
+        assert [i for _, i in hnsw.filtered(g, x, allowed, 10, 200, True)] == near[allowed[near]][:10].tolist()
+
+
+def test_shards_lie_in_partitions_of_their_own(spark):
+    from rolelattice.operators.layout import spread_out
+
+    part, wide = spread_out(spark, [(i << 20 | 3, i % 2, float(i + 1), 1 + i % 3) for i in range(20)], 200)
+    rows = part.select("unit_id", "shard", "part", F.expr(f"pmod(hash(unit_id, shard, part), {wide})").alias("p")).collect()
+    assert wide == len(rows) == 39 and {r.p for r in rows} == set(range(39)) and len({r[:3] for r in rows}) == 39
+
+
+def test_role_sets_build_no_graph_that_no_query_reads(spark, monkeypatch):
+    made, real = [], cq.graphs
+    monkeypatch.setattr(cq, "graphs", lambda placed, m=16, efc=64, seed=1: made.append(m) or real(placed, m, efc, seed))
+    monkeypatch.setattr(ex.cover, "broad", lambda c, x: True)
+    rows = ex.multi(spark, SF, "A", False).collect()
+    assert made == [16] and {r.method for r in rows} == set(ex.METHODS)
+
+
 def test_resumed_search_equals_one_that_never_stopped(spark):
     import numpy as np
 
