@@ -189,3 +189,25 @@ def test_heavy_shards_are_dealt_to_several_tasks(spark, monkeypatch):
     many = hits()
     monkeypatch.setattr(osr, "PART_VISITS", 1 << 30)
     assert hits() == many
+
+
+def test_no_row_holds_a_whole_graph(spark):
+    """A graph passes through Spark in pieces of bounded size, and is searched as it was built."""
+    import numpy as np
+
+    from rolelattice.operators import hnsw
+
+    d = "/root/testdata/sf0.1"
+    q, v, t, b = cq.role_queries(spark, d, "A")
+    c = control(b, cq.M, cq.EFS)
+    held, plan = tables(spark, c, cq.layout_of(c, "global", 1.1, 40))
+    placed = ex.kept(ex.place(v, t, b, held))
+    g = ex.kept(ex.graphs(placed, efc=64))
+    rows = g.select("nth", "graph").orderBy("nth").collect()
+    assert len(rows) > 1 and [r.nth for r in rows] == list(range(len(rows))) and max(len(r.graph) for r in rows) <= hnsw.PIECE
+    whole = hnsw.Graph.load(b"".join(bytes(r.graph) for r in rows))
+    all_ = spark.createDataFrame([(i, whole.vectors[i].tolist(), sorted(set().union(*c.roles.values())), "every") for i in range(0, 200, 10)], "qid bigint, x array<float>, roles array<int>, qclass string")
+    one = plan.limit(1).withColumn("qclass", F.lit("every"))
+    got = {(r.qid, r["rank"]): r.vec_id for r in osr.independent(all_, one, placed, c.roles, g, 10, 60).collect()}
+    for i in range(0, 200, 10):
+        assert [got[i, r + 1] for r in range(10)] == [int(whole.ids[at]) for _, at in hnsw.search(whole, np.float32(whole.vectors[i]), 10, 60)]

@@ -213,3 +213,20 @@ def test_thinning_leaves_closed_neighbours_alone(monkeypatch):
     got = hnsw.thinned(near.copy(), d.copy(), 96)
     assert got.tolist() == want
     assert sum(seen) < 7 * near.size  # 10 with whole arrays each time
+
+
+def test_build_holds_little_beside_the_graph():
+    """Links are dealt to their places by blocks; pieces of a graph make up the same graph."""
+    import tracemalloc
+
+    v = np.random.default_rng(5).normal(size=(8000, 8)).astype(np.float32)
+    tracemalloc.start()
+    g = hnsw.build(np.arange(8000), v, m=192, efc=200)
+    most = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert most < 80e6 + 4 * len(g.dump())  # 80 MB for blocks of bounded size
+    made = hnsw.Joined()
+    for piece in g.pieces(1 << 16):
+        assert len(piece) <= 1 << 16 and made.graph() is None
+        made.add(piece)
+    assert made.graph().dump() == g.dump() and g.vectors.dtype == np.float32
